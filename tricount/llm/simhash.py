@@ -140,3 +140,16 @@ def near_duplicates(docs: DataFrame, shingle: int = 3, bits: int = 2, seed: int
         prints.join(named.join(least, "component").select("fp", "component_id"), "fp")
         .select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
     )
+
+
+def without_near_duplicates(docs: DataFrame, shingle: int = 3, bits: int = 2, seed: int = 42) -> DataFrame:
+    """The rows of ``docs`` whose doc_id is the smallest of its group, one row of each such id; rows without a doc_id stay."""
+    groups = near_duplicates(docs, shingle, bits, seed)
+    heads = groups.where("doc_id = component_id").select("doc_id").distinct()
+    # Rows that repeat an id (one head, several rows) are told apart by their content: the least text stays.
+    named = docs.where("doc_id is not null")
+    kept = named.join(heads, "doc_id", "left_semi")
+    again = named.groupBy("doc_id").count().where("count > 1").select("doc_id")
+    single = kept.join(again, "doc_id", "left_anti")
+    double = kept.join(again, "doc_id", "left_semi").dropDuplicates(["doc_id"])
+    return single.unionByName(double).unionByName(docs.where("doc_id is null")).select(docs.columns)
