@@ -44,8 +44,11 @@ def bucket(token: str) -> int:
     return crc32(token.encode("utf-8", "replace")) & (BUCKETS - 1)
 
 
-def log_odds(toxic: np.ndarray, other: np.ndarray, prior: float = 0.05, least_z: float = 2.5, least: float = 1.0) -> np.ndarray:
-    """Log-odds of each token with a Dirichlet prior of ``prior`` times all tokens, spread as in both classes; 0 where |z| < least_z or |log-odds| < least."""
+def log_odds(toxic: np.ndarray, other: np.ndarray, prior: float = 0.05, sure: float = 1.96, least: float = 1.0) -> np.ndarray:
+    """Log-odds of each token with a Dirichlet prior of ``prior`` times all tokens, spread as in both classes.
+
+    What is returned is the bound towards zero, ``sure`` standard errors in; 0 where that falls below ``least``.
+    """
     n1, n0 = toxic.sum(), other.sum()
     if not n1 or not n0:
         return np.zeros(len(toxic))
@@ -54,8 +57,8 @@ def log_odds(toxic: np.ndarray, other: np.ndarray, prior: float = 0.05, least_z:
     out = np.zeros(len(toxic))
     t, o, p = toxic[seen] + a[seen], other[seen] + a[seen], prior * (n1 + n0)
     delta = np.log(t / (n1 + p - t)) - np.log(o / (n0 + p - o))
-    z = delta / np.sqrt(1 / t + 1 / o)
-    out[seen] = np.where((np.abs(z) >= least_z) & (np.abs(delta) >= least), delta, 0.0)
+    bound = np.abs(delta) - sure * np.sqrt(1 / t + 1 / o)
+    out[seen] = np.where(bound >= least, np.sign(delta) * bound, 0.0)
     return out
 
 
