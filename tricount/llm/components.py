@@ -27,6 +27,15 @@ def _hub(links: DataFrame, large: bool) -> DataFrame:
     return moved.where("a != b").distinct()
 
 
+#: Links that one task may hold; a table of fewer links is worked on without any shuffle.
+PER_TASK = 1 << 20
+
+
+def _dealt(links: DataFrame, n: int) -> DataFrame:
+    """``links`` in as many partitions as their number asks for."""
+    return links.coalesce(max(1, -(-n // PER_TASK)))
+
+
 def components(links: DataFrame, rounds: int = 50) -> DataFrame:
     """(node, component) for every node of ``links`` (a, b); component is the smallest node reachable.
 
@@ -34,18 +43,19 @@ def components(links: DataFrame, rounds: int = 50) -> DataFrame:
     """
     spark = links.sparkSession
     old: list[str] = []
-    now = stored(links.where("a != b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct(), old)
-    mark = None
+    now = stored(links.where("a != b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")), old)
+    mark = (now.count(),)
     for _ in range(rounds):
         new: list[str] = []
-        now = stored(_hub(_hub(now, large=True), large=False), new)
-        # A forest of stars that both rounds leave alone is the end; two sums of hashes tell whether anything moved.
-        seen = now.agg(F.count(F.lit(1)), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)")), F.sum(F.xxhash64("b", "a").cast("decimal(38,0)"))).collect()[0]
+        now = stored(_hub(_hub(_dealt(now, mark[0]), large=True), large=False), new)
+        # A forest of stars that both rounds leave alone is the end; sums of hashes tell whether anything moved.
+        seen = tuple(_dealt(now, mark[0]).agg(F.count(F.lit(1)), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)")), F.sum(F.xxhash64("b", "a").cast("decimal(38,0)"))).collect()[0])
         dropped(spark, old)
         old = new
-        if tuple(seen) == mark:
+        if seen == mark:
             break
-        mark = tuple(seen)
+        mark = seen
     else:
         raise RuntimeError(f"components did not settle in {rounds} rounds")
-    return now.select(F.col("a").alias("node"), F.col("b").alias("component")).unionByName(now.select(F.col("b").alias("node"), F.col("b").alias("component")).distinct())
+    stars = _dealt(now, mark[0])
+    return stars.select(F.col("a").alias("node"), F.col("b").alias("component")).unionByName(stars.select(F.col("b").alias("node"), F.col("b").alias("component")).distinct())
