@@ -13,6 +13,7 @@ occur; an empty table gives an empty table; other columns are ignored.
 
 from __future__ import annotations
 
+import re
 import zlib
 from bisect import bisect_right
 from itertools import chain
@@ -29,26 +30,49 @@ LANES = 256
 PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long"
 
 
+# Letters, digits and white space of Latin-1, as the tokenizer's expressions class them.
+_LETTER, _DIGIT, _WHITE = "a-zA-Z\xaa\xb5\xba\xc0-\xd6\xd8-\xf6\xf8-\xff", "0-9\xb2\xb3\xb9\xbc-\xbe", " \t-\r\x85\xa0"
+_UNIT = re.compile(f"'s|'t|'re|'ve|'m|'ll|'d|[{_LETTER}]+|[{_DIGIT}]|[^{_WHITE}{_LETTER}{_DIGIT}]+")
+_OTHER = re.compile("[^\x00-\xff]|<\\|")
+
+
 class _Ids:
-    """Token ids of whole texts as little-endian 32-bit bytes, by words: the tokenizer drops white space and never joins words."""
+    """Token ids of whole texts as little-endian 32-bit bytes.
+
+    The tokenizer drops white space, lower-cases, and encodes each run of letters, digit and run of other signs by
+    itself. Texts of Latin-1 without special marks are split that way here, so that its model is asked once for each
+    different unit; other texts go through the whole tokenizer, chunk by chunk between blanks.
+    """
 
     def __init__(self, path: str):
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
-        self.words = WordTable(self._encode, most=200_000)
-        self.words[""] = b""
-
-    def _encode(self, word: str) -> bytes:
-        return np.asarray(self.tokenizer.encode(word, add_special_tokens=False).ids, dtype="<u4").tobytes()
+        self.model = self.tokenizer.model
+        self.units = WordTable(self._unit, most=600_000)
+        self.chunks = WordTable(self._chunk, most=100_000)
+        shown = [*range(33, 127), *range(161, 173), *range(174, 256)]
+        hidden = iter(range(256, 512))
+        self.byte = {b: chr(b if b in shown else next(hidden)) for b in range(256)}  # a sign for each byte, as byte-level models have it
+
+    def _unit(self, unit: str) -> bytes:
+        signs = unit if unit.isascii() and unit.isprintable() else "".join(map(self.byte.__getitem__, unit.encode()))
+        return b"".join([t.id.to_bytes(4, "little") for t in self.model.tokenize(signs)])
+
+    def _chunk(self, chunk: str) -> bytes:
+        if not _OTHER.search(chunk):
+            return b"".join(map(self.units.__getitem__, _UNIT.findall(chunk.lower())))
+        return np.asarray(self.tokenizer.encode(chunk, add_special_tokens=False).ids, dtype="<u4").tobytes()
 
     def of(self, text: str | None, end: int) -> bytes:
-        words = (text or "").replace("\n", " ").replace("\t", " ").replace("\r", " ").split(" ")
-        out = b"".join(chain(map(self.words.__getitem__, words), (end.to_bytes(4, "little"),)))
-        if len(self.words) > self.words.most:
-            self.words.clear()
-            self.words[""] = b""
-        return out
+        text = text or ""
+        self.units.trim()
+        self.chunks.trim()
+        if _OTHER.search(text):
+            parts = map(self.chunks.__getitem__, text.replace("\n", " ").replace("\t", " ").replace("\r", " ").split(" "))
+        else:
+            parts = map(self.units.__getitem__, _UNIT.findall(text.lower()))
+        return b"".join(chain(parts, (end.to_bytes(4, "little"),)))
 
 
 def token_pieces(docs: DataFrame, tokenizer: str, capacity: int = 4096, end: int = 1, with_ids: bool = False) -> DataFrame:
