@@ -13,6 +13,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
+from ..session import cut
 from .blocks import assign
 from .cost import node_cost
 from .orient import adjacency, orient
@@ -31,13 +32,13 @@ class Owned:
 
 
 def build(edges: DataFrame, parts: int, cost: str = "surrogate", order: str = "degree") -> Owned:
-    """Cut by the cost into ``parts`` blocks."""
-    owner = assign(node_cost(edges, cost, order), parts).select("id", "part")
-    nodes = adjacency(edges, order).join(owner, "id")
+    """Cut by the cost into ``parts`` blocks. Owners, lists and arcs are written once, as every scheme reads them several times."""
+    owner = cut(assign(node_cost(edges, cost, order), parts).select("id", "part"))
+    nodes = cut(adjacency(edges, order).join(owner, "id"))
     a = owner.select(F.col("id").alias("v"), F.col("part").alias("pv"))
     b = owner.select(F.col("id").alias("u"), F.col("part").alias("pu"))
     arcs = orient(edges, order).select(F.col("src").alias("v"), F.col("dst").alias("u")).join(a, "v").join(b, "u").select("v", "u", "pv", "pu")
-    return Owned(nodes, arcs, parts)
+    return Owned(nodes, cut(arcs), parts)
 
 
 def sizes(owned: Owned) -> DataFrame:

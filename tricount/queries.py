@@ -12,6 +12,7 @@ from . import functions, plans, streaming
 from . import oracles as o
 from .operators import approx, blocks, cost, derived, dynamic, exact, exchange, generators, graph, mapreduce, measures, orient, overlap, tasks, workloads
 from .operators.relational import OPS
+from .session import cut as cut_lineage
 from .session import shared_folder
 from .sources import table
 
@@ -27,8 +28,8 @@ def add(name: str, f: Query, sql: str | None = None) -> None:
 
 
 def on(name: str, f: Callable[[DataFrame], DataFrame]) -> Query:
-    """A query that runs ``f`` on the edges of a network."""
-    return lambda spark, folder: f(workloads.GRAPHS[name](spark, folder))
+    """A query that runs ``f`` on the edges of a network, which are written once and read as often as ``f`` asks."""
+    return lambda spark, folder: f(cut_lineage(workloads.GRAPHS[name](spark, folder)))
 
 
 def longs(df: DataFrame, *names: str) -> DataFrame:
@@ -37,7 +38,7 @@ def longs(df: DataFrame, *names: str) -> DataFrame:
 
 # Networks and summaries
 for _g in workloads.GRAPHS:
-    add(f"edges_{_g}", on(_g, lambda e: e), o.graph(_g) + " SELECT src, dst FROM edges")
+    add(f"edges_{_g}", workloads.GRAPHS[_g], o.graph(_g) + " SELECT src, dst FROM edges")
     add(f"tri_intersect_{_g}", on(_g, exact.count_intersect), o.graph(_g) + o.arcs() + o.TRIANGLES + " SELECT count(*) AS triangles FROM tri")
 add("edges_emb", lambda s, d: workloads.emb(s, d))
 add("edges_pa", lambda s, d: generators.pa(s, 2000, 10), o.pa_graph(2000, 10) + " SELECT src, dst FROM edges")
@@ -175,15 +176,15 @@ def _sweep(row: Callable[[SparkSession, int], DataFrame], values: list[int]) ->
 
 def _weak(spark: SparkSession, p: int) -> DataFrame:
     """Network and blocks grow together: the largest load tells how the time would grow."""
-    return measures.imbalance(measures.load(generators.pa(spark, p * 250, 10), p, "surrogate"), p).select(F.lit(p).alias("parts"), F.col("most").cast("long").alias("most"), "imbalance")
+    return measures.imbalance(measures.load(cut_lineage(generators.pa(spark, p * 250, 10)), p, "surrogate"), p).select(F.lit(p).alias("parts"), F.col("most").cast("long").alias("most"), "imbalance")
 
 
 def _size(spark: SparkSession, n: int) -> DataFrame:
-    return measures.imbalance(measures.load(generators.pa(spark, n, 10), 16, "surrogate"), 16).select(F.lit(n).alias("nodes"), "imbalance", "speedup")
+    return measures.imbalance(measures.load(cut_lineage(generators.pa(spark, n, 10)), 16, "surrogate"), 16).select(F.lit(n).alias("nodes"), "imbalance", "speedup")
 
 
 def _degree(spark: SparkSession, d: int) -> DataFrame:
-    return measures.space_ratio(graph.relabel(generators.pa(spark, 1000, d), "hashed"), 8).select(F.lit(d).alias("degree"), "nonoverlap", "overlapping", "ratio")
+    return measures.space_ratio(cut_lineage(graph.relabel(generators.pa(spark, 1000, d), "hashed")), 8).select(F.lit(d).alias("degree"), "nonoverlap", "overlapping", "ratio")
 
 
 add("weak_scaling_pa", _sweep(_weak, [4, 8, 16]))
@@ -202,7 +203,7 @@ add("closure_candidates_user", on("user", derived.closure_candidates), o.graph("
 
 def quality_signal(spark: SparkSession, folder: str) -> DataFrame:
     """Mean clustering of labelled documents by quality, in the network of shared shingles; keys of nodes are doc_ids in order."""
-    e = workloads.doc(spark, folder)
+    e = cut_lineage(workloads.doc(spark, folder))
     w = workloads.words(table(spark, folder, "documents")).where("size(w) >= 5")
     grams = w.select("doc_id", F.explode(F.array_distinct(F.transform(F.sequence(F.lit(1), F.size("w") - 4), lambda i: F.array_join(F.slice("w", i, F.lit(5)), " ")))).alias("g"))
     held = grams.groupBy("g").agg(F.count(F.lit(1)).alias("n")).where("n between 2 and 50").select("g")
