@@ -216,7 +216,7 @@ add("quality_signal_doc", quality_signal, o.graph("doc") + o.arcs() + o.TRIANGLE
 
 # Functions
 _LISTS = o.graph("user") + o.arcs()
-add("udf_common_user", on("user", lambda e: exact.paired_lists(e).select(F.sum(functions.common("nv", "nu")).alias("triangles"))), _user + _T)
+add("udf_common_user", on("user", lambda e: exact.paired_lists(e).select(F.coalesce(F.sum(functions.common("nv", "nu")), F.lit(0)).cast("long").alias("triangles"))), _user + _T)
 add("udf_list_sizes_user", on("user", lambda e: orient.adjacency(e).select("id", functions.list_sizes("nbrs").alias("n"))), _LISTS + " SELECT id, eff AS n FROM eff")
 add("udf_gini_part", on("part", lambda e: measures.load(e, 16, "unit").agg(F.round(functions.gini(F.col("work").cast("double")), 6).alias("gini"))))
 
@@ -242,7 +242,7 @@ def _streamed(f: Callable[[DataFrame], DataFrame], mode: str, batches: int = 3)
 
 
 add("stream_window_user", _streamed(streaming.window_counts, "complete"), f"SELECT start, n AS users, n * (n - 1) * (n - 2) // 6 AS triangles FROM ({_MINUTES})")
-add("stream_session_user", _streamed(streaming.sessions, "complete"), "SELECT user_id, CAST(epoch(min(ts)) AS BIGINT) AS start, count(*) AS events FROM (SELECT user_id, ts, sum(CASE WHEN p IS NULL OR ts >= p + INTERVAL 30 MINUTE THEN 1 ELSE 0 END) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS s FROM (SELECT *, lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS p FROM events)) GROUP BY user_id, s")
+add("stream_session_user", _streamed(streaming.sessions, "complete"), "SELECT user_id, CAST(floor(epoch(min(ts))) AS BIGINT) AS start, count(*) AS events FROM (SELECT user_id, ts, sum(CASE WHEN p IS NULL OR ts >= p + INTERVAL 30 MINUTE THEN 1 ELSE 0 END) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS s FROM (SELECT *, lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS p FROM events)) GROUP BY user_id, s")
 add("stream_degrees_user", _streamed(streaming.user_activity, "complete"), "SELECT user_id, count(*) AS events FROM events GROUP BY 1")
 
 
