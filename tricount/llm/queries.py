@@ -62,32 +62,62 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f fo
 
 
 def _sharding_sql(shards: int = 24) -> str:
+    """The law and the checksum in plain SQL; the checksum takes a text byte by byte through the table of CRC-32."""
+
     def rounds(x: str) -> str:
         for _ in range(2):
             x = f"((xor({x}, ({x}) >> 16) * 73244475) & 4294967295)"
         return f"xor({x}, ({x}) >> 16)"
 
     def best(n: int) -> str:
-        return f"(SELECT s FROM (SELECT s, {rounds('y')} AS score FROM (SELECT s, (h + (((s + 1) * 2654435761) & 4294967295)) & 4294967295 AS y FROM range({n}) r(s))) ORDER BY score DESC, s LIMIT 1)"
+        scores = ", ".join(f"({rounds(f'((h + {(s + 1) * 2654435761 & 4294967295}) & 4294967295)')}) * 64 + {63 - s}" for s in range(n))
+        return f"CAST(63 - greatest({scores}) % 64 AS INTEGER)"
 
-    # The checksum is computed in SQL from a table of 256 entries, one step per byte.
     return f"""
     WITH RECURSIVE tbl(i, k, c) AS (
       SELECT i, 0, i FROM range(256) r(i)
       UNION ALL SELECT i, k + 1, CASE WHEN c & 1 = 1 THEN xor(c >> 1, 3988292384) ELSE c >> 1 END FROM tbl WHERE k < 8
     ), crc AS (SELECT list(c ORDER BY i) AS t FROM tbl WHERE k = 8),
-    texts AS (
-      SELECT doc_id, coalesce(text, '') AS text, octet_length(encode(coalesce(text, ''))) AS n,
-             ('0x' || substr(md5(coalesce(CAST(doc_id AS VARCHAR), 'null')), 1, 8))::BIGINT AS h
+    texts AS MATERIALIZED (
+      SELECT doc_id, hex(encode(coalesce(text, ''))) AS x, octet_length(encode(coalesce(text, ''))) AS n,
+             CAST('0x' || substr(md5(coalesce(CAST(doc_id AS VARCHAR), 'null')), 1, 8) AS BIGINT) AS h
       FROM documents
-    ), placed AS (
-      SELECT doc_id, text, n, {best(shards)} AS shard, {best(shards + 1)} AS grown FROM texts
-    ), summed AS (
-      SELECT p.*, xor(list_reduce(list_prepend(4294967295::BIGINT, list_transform(range(n), lambda j: ('0x' || hex(encode(text)[j + 1:j + 1]))::BIGINT)),
-                      lambda acc, b: xor(acc >> 8, t[xor(acc, b) & 255 + 1])), 4294967295) AS crc
-      FROM placed p, crc
+    ), summed AS MATERIALIZED (
+      SELECT doc_id, n + 8 AS size, h,
+             xor(list_reduce(list_prepend(CAST(4294967295 AS BIGINT), list_transform(range(n), lambda j: CAST('0x' || substr(x, 2 * j + 1, 2) AS BIGINT))),
+                             lambda a, b: xor(a >> 8, t[(xor(a, b) & 255) + 1])), 4294967295) AS crc
+      FROM texts, crc
+    ), placed AS (SELECT *, {best(shards)} AS shard, {best(shards + 1)} AS grown_shard FROM summed)
+    SELECT doc_id, size, crc AS text_crc32, 'key' AS law, shard, grown_shard,
+           row_number() OVER (PARTITION BY shard ORDER BY ({rounds("xor(h, crc)")}) % {sharding.LANES}, doc_id NULLS FIRST, crc, size) - 1 AS slot
+    FROM placed
+    """
+
+
+def _secrets_sql() -> str:
+    """Spans from the pieces between matches: a match starts where the pieces and matches before it end."""
+    kinds = []
+    for order, rule in enumerate(secrets.BASE_RULES + secrets.MORE_RULES):
+        quoted = rule.pattern.replace("'", "''")
+        kinds.append(f"SELECT doc_id, {order} AS k, '{rule.kind}' AS kind, {rule.least} AS least, string_split_regex(text, '{quoted}') AS gaps, regexp_extract_all(text, '{quoted}') AS hits, regexp_extract_all(text, '{quoted}', {rule.group}) AS groups FROM texts WHERE regexp_matches(text, '{quoted}')")
+    base = ", ".join(f"'{r.kind}'" for r in secrets.BASE_RULES)
+    return f"""
+    WITH texts AS (SELECT doc_id, coalesce(text, '') AS text FROM documents),
+    found AS ({" UNION ALL ".join(kinds)}),
+    each AS (SELECT *, unnest(range(1, len(hits) + 1)) AS i FROM found),
+    placed AS (
+      SELECT doc_id, k, kind, least, hits[i] AS hit, groups[i] AS g,
+             CAST(coalesce(list_sum(list_transform(gaps[1:i], lambda x: length(x))), 0) + coalesce(list_sum(list_transform(hits[1:i - 1], lambda x: length(x))), 0) AS BIGINT) AS s
+      FROM each
+    ), kept AS (SELECT doc_id, k, kind, s, s + length(hit) AS e FROM placed WHERE length(g) >= least),
+    joined AS (
+      SELECT doc_id, count(*) FILTER (WHERE kind = 'assign') AS n_assign, count(*) FILTER (WHERE kind = 'access') AS n_access, count(*) FILTER (WHERE kind = 'hex') AS n_hex,
+             string_agg(kind || ':' || s || ':' || e, ',' ORDER BY s, k) FILTER (WHERE kind IN ({base})) AS base,
+             string_agg(kind || ':' || s || ':' || e, ',' ORDER BY s, k) AS spans
+      FROM kept GROUP BY doc_id
     )
-    SELECT doc_id FROM summed
+    SELECT d.doc_id, coalesce(n_assign, 0) AS n_assign, coalesce(n_access, 0) AS n_access, coalesce(n_hex, 0) AS n_hex, sha256(coalesce(base, '')) AS base_sha256, coalesce(spans, '') AS spans
+    FROM documents d LEFT JOIN joined USING (doc_id)
     """
 
 
@@ -106,6 +136,6 @@ ORACLES: dict[str, str] = {
     SELECT query_id, CAST(rank AS INTEGER) AS rank, vec_id, score
     FROM (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY score DESC, vec_id) AS rank FROM s) WHERE rank <= 5
     """,
-    "op3_secrets": secrets.digest_sql() if hasattr(secrets, "digest_sql") else "",
+    "op2_sharding": _sharding_sql(),
+    "op3_secrets": _secrets_sql(),
 }
-ORACLES = {k: v for k, v in ORACLES.items() if v}

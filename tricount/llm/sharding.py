@@ -58,9 +58,12 @@ def assign_shards(df: DataFrame, key: str, shards: int, weights: list[float] | N
     return df.withColumn(into, _best(shard_scores(key_digest(F.col(key)), weights)).cast("int"))
 
 
-def number_slots(df: DataFrame, group: str, order: list[str], lanes: int = LANES) -> DataFrame:
-    """``df`` with a gapless ``slot`` from 0 in each group, without bringing a group into one task."""
-    laned = df.withColumn("_lane", F.pmod(F.xxhash64(*order), F.lit(lanes)).cast("int"))
+def number_slots(df: DataFrame, group: str, lane: Column, order: list[str]) -> DataFrame:
+    """``df`` with a gapless ``slot`` from 0 in each group, by ``lane`` (a small number that spreads rows) and then ``order``.
+
+    Rows are ranked inside lanes and shifted by the sizes of the lanes before, so no group meets in one task.
+    """
+    laned = df.withColumn("_lane", lane)
     before = Window.partitionBy(group).orderBy("_lane").rowsBetween(Window.unboundedPreceding, -1)
     sizes = laned.groupBy(group, "_lane").agg(F.count(F.lit(1)).alias("_n"))
     starts = sizes.select(group, "_lane", F.coalesce(F.sum("_n").over(before), F.lit(0)).alias("_start"))
@@ -76,5 +79,6 @@ def shard_documents(docs: DataFrame, shards: int = 24, weights: list[float] | No
     rows = docs.select("doc_id", (F.octet_length(text) + 8).cast("long").alias("size"), F.crc32(text.cast("binary")).alias("text_crc32"))
     rows = assign_shards(rows, "doc_id", shards, weights)
     rows = assign_shards(rows, "doc_id", shards + 1, [*weights, 1.0], into="grown_shard")
-    rows = number_slots(rows, "shard", ["doc_id", "text_crc32", "size"])
+    lane = (_mixed(key_digest(F.col("doc_id")).bitwiseXOR(F.col("text_crc32"))) % LANES).cast("int")
+    rows = number_slots(rows, "shard", lane, ["doc_id", "text_crc32", "size"])
     return rows.select("doc_id", "size", "text_crc32", F.lit("key").alias("law"), "shard", "slot", "grown_shard")
