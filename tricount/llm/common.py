@@ -12,13 +12,13 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql.pandas.types import to_arrow_schema
 
-#: Rows of an Arrow batch that are turned into Python objects at once, and the characters after which a slice ends.
+#: Rows of an Arrow batch that are turned into Python objects at once.
 SLICE_ROWS = 256
 
 
 def schema_of(ddl: str) -> T.StructType:
     """The Spark schema that a DDL string names."""
-    return T.StructType.fromDDL(ddl) if hasattr(T.StructType, "fromDDL") else T._parse_datatype_string(ddl)
+    return T.StructType.fromDDL(ddl)
 
 
 def arrow_map(df: DataFrame, ddl: str, rows: Callable[..., dict[str, list]], start: Callable[[], object] | None = None) -> DataFrame:

@@ -28,6 +28,8 @@ from .common import arrow_fold, arrow_map
 DIM = 1 << 13
 #: Bytes that are turned into n-grams at once.
 CHUNK = 1 << 20
+#: Lanes in which a language's rows are ranked for the sample.
+LANES = 16
 _SPACE = np.arange(256, dtype=np.uint8)
 _SPACE[[b for b in range(128) if not chr(b).isalpha()]] = 32
 
@@ -109,7 +111,7 @@ def _clusters(x: np.ndarray, k: int, rounds: int = 12) -> tuple[np.ndarray, np.n
 def train(docs: DataFrame, learn: Column, per_lang: int = 300, clusters: int = 3, strict: float = 0.005) -> LanguageModel:
     """Learn from the rows for which ``learn`` holds, with a non-null lang and a letter.
 
-    per_lang bounds the clustering sample of each language (rows of the smallest hash of the id); document frequencies
+    per_lang bounds the clustering sample of each language (rows of the smallest hashes of the id, rounded up to the lanes); document frequencies
     are taken over all rows. strict is the share of a centroid's sample that it would reject.
     """
     rows = docs.where(learn & F.col("lang").isNotNull() & F.col("text").isNotNull()).select("doc_id", "lang", "text")
@@ -129,8 +131,10 @@ def train(docs: DataFrame, learn: Column, per_lang: int = 300, clusters: int = 3
     n = counts.get(DIM, 0)
     idf = np.log((1 + n) / (1 + np.array([counts.get(k, 0) for k in range(DIM)], dtype=np.float64))).astype(np.float32) + np.float32(1)
 
-    order = Window.partitionBy("lang").orderBy(F.xxhash64("doc_id"), "doc_id")
-    chosen = rows.select("doc_id", "lang").withColumn("_r", F.row_number().over(order)).where(F.col("_r") <= per_lang).select("doc_id").distinct()
+    # A language may hold most rows: it is ranked in lanes by hash, each of which gives its share of the sample.
+    hashed = rows.select("doc_id", "lang", F.xxhash64("doc_id").alias("_h")).withColumn("_lane", F.pmod("_h", F.lit(LANES)))
+    order = Window.partitionBy("lang", "_lane").orderBy("_h", "doc_id")
+    chosen = hashed.withColumn("_r", F.row_number().over(order)).where(F.col("_r") <= -(-per_lang // LANES)).select("doc_id").distinct()
     sample = rows.join(F.broadcast(chosen), "doc_id").select("lang", "text")  # per_lang rows a language at most
 
     def vectors(langs, texts):
