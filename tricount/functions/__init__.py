@@ -14,7 +14,7 @@ from ..operators.exchange import Owned, messages
 
 
 @F.udf("boolean")
-def below(d1: int, i1: int, d2: int, i2: int) -> bool:
+def below(d1, i1, d2, i2):
     """Degree order with ties by id, a row at a time; plans use the struct comparison instead."""
     return (d1, i1) < (d2, i2)
 
