@@ -68,10 +68,10 @@ def half_unit(c: Costs) -> int:
 
 
 def initial_tasks(c: Costs, workers: int) -> list[tuple[int, int]]:
-    """The first half of the work in one task per worker: a unit goes where the middle of its cost falls."""
+    """The first half of the work in one task per worker: the k-th ends where k worker's shares are first reached."""
     half = half_unit(c)
     total = c.upto[half] if half else 0
-    part = [min(workers - 1, ((c.upto[i] + c.upto[i + 1]) * workers) // (2 * total)) if total else min(workers - 1, i * workers // max(1, half)) for i in range(half)]
+    part = [min(workers - 1, (c.upto[i] * workers) // total) if total else min(workers - 1, i * workers // max(1, half)) for i in range(half)]
     edges = [0] + [i for i in range(1, half) if part[i] != part[i - 1]] + [half]
     return [(a, b) for a, b in zip(edges[:-1], edges[1:], strict=True) if b > a]
 

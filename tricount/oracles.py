@@ -129,6 +129,6 @@ def tasks(processors: int, granularity: str) -> str:
     }[granularity]
     return f""", run AS MATERIALIZED (SELECT id, f, sum(f) OVER (ORDER BY id) AS upto, sum(f) OVER () AS total FROM cost),
       half AS (SELECT min(id) + 1 AS half, min(upto) AS s FROM run WHERE 2 * upto >= total),
-      early AS (SELECT id, least({w - 1}, ((2 * upto - f) * {w}) // (2 * (SELECT s FROM half))) AS k FROM run WHERE id < (SELECT half FROM half)){queue},
+      early AS (SELECT id, least({w - 1}, ((upto - f) * {w}) // (SELECT s FROM half)) AS k FROM run WHERE id < (SELECT half FROM half)){queue},
       spans AS (SELECT 0 AS ph, k, min(id) AS v, count(*) AS t FROM early GROUP BY k UNION ALL SELECT 1, k, v, t FROM queued),
       tasks AS (SELECT row_number() OVER (ORDER BY ph, k) - 1 AS seq, CASE WHEN ph = 0 THEN 'initial' ELSE 'queue' END AS phase, v, t, (SELECT sum(f) FROM cost WHERE id BETWEEN v AND v + t - 1) AS size FROM spans)"""
