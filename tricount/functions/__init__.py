@@ -9,23 +9,24 @@ import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from ..operators.exchange import Owned, messages
 
 
-@F.udf("boolean")
+@F.udf(T.BooleanType())
 def below(d1, i1, d2, i2):
     """Degree order with ties by id, a row at a time; plans use the struct comparison instead."""
     return (d1, i1) < (d2, i2)
 
 
-@F.pandas_udf("long")
+@F.pandas_udf(T.LongType())
 def common(a: pd.Series, b: pd.Series) -> pd.Series:
     """Sizes of the intersections of two columns of sorted lists."""
     return pd.Series([len(np.intersect1d(x, y, assume_unique=True)) for x, y in zip(a, b, strict=True)], dtype="int64")
 
 
-@F.arrow_udf("long")
+@F.arrow_udf(T.LongType())
 def list_sizes(a: pa.Array) -> pa.Array:
     """Lengths of lists, straight on the Arrow column."""
     import pyarrow.compute as pc
@@ -33,7 +34,7 @@ def list_sizes(a: pa.Array) -> pa.Array:
     return pc.cast(pc.fill_null(pc.list_value_length(a), 0), pa.int64())
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def gini(loads: pd.Series) -> float:
     """Gini coefficient of the loads of a group."""
     x = np.sort(loads.to_numpy(dtype=float))
@@ -41,7 +42,7 @@ def gini(loads: pd.Series) -> float:
     return float((2 * np.arange(1, n + 1) - n - 1) @ x / (n * x.sum())) if n and x.sum() else 0.0
 
 
-@F.udtf(returnType="a long, b long, c long")
+@F.udtf(returnType=T.StructType([T.StructField(x, T.LongType()) for x in "abc"]))
 class TrianglesOf:
     """The triangles of one list of edges, given as an array of structs (src, dst); for lists that fit a row."""
 
