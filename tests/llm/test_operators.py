@@ -2,6 +2,7 @@
 
 import importlib
 import random
+import re
 
 import numpy as np
 import public_tokenizers
@@ -195,13 +196,61 @@ def test_models_on_labelled_tables(spark, task):
     assert len(none) == len(rows)
 
 
-def test_pipeline_stages(spark, sf):
+def kept_by_links(rows):
+    """The smallest id of each group of fingerprints within two bits, by all pairs."""
+    prints = [(i, simhash.fingerprint_of(t)) for i, t in rows]
+    group = {i: i for i, _ in prints}
+
+    def find(x):
+        while group[x] != x:
+            x = group[x]
+        return x
+
+    for n, (i, a) in enumerate(prints):
+        for j, b in prints[n + 1 :]:
+            if (a ^ b).bit_count() <= 2:
+                x, y = sorted((find(i), find(j)))
+                group[y] = x
+    return {i for i, _ in prints if find(i) == i}
+
+
+def leaked(text, items):
+    """Whether 0.8 of an item's windows of five template words occur in the text (the items have no slots that vary)."""
+
+    def grams(t):
+        _, code, kind = decontam.Templates().of(t)
+        n, w = len(code), min(5, len(code))
+        return {tuple(code[i : i + w].tolist()): None for i in range(n - w + 1) if w and (kind[i : i + w] == 0).sum() >= min(2, w)}
+
+    own = grams(text)
+    return any(len(g) and sum(x in own for x in g) >= 0.8 * len(g) for g in map(grams, items))
+
+
+def test_pipeline_against_brute_force(spark, sf):
     pipeline = importlib.import_module("corpus_pipeline")
     docs = spark.read.parquet(f"{sf}/documents.parquet")
+    items = [r.text for r in spark.read.parquet(f"{sf}/benchmark.parquet").collect()]
+    model = quality.train(docs, spark.read.parquet(f"{sf}/labels.parquet"), fold("doc_id", 5) != 0)
+    table_ = quality.word_codes()
     now = docs
     for name, stage in pipeline.STAGES[:-1]:
-        after = stage(spark, now, sf).cache()
-        assert after.columns == docs.columns, name
-        assert after.count() <= now.count()
-        now = after
-    assert pipeline.STAGES[-1][1](spark, now, sf).select("doc_id").distinct().count() == now.select("doc_id").distinct().count()
+        before = {r.doc_id: r for r in now.collect()}
+        now = stage(spark, now, sf).cache()
+        assert now.columns == docs.columns, name
+        after = {r.doc_id: r for r in now.collect()}
+        if name.startswith("quality"):
+            want = {i for i, r in before.items() if model.score(quality.features(r.text, table_)) >= 0.3}
+        elif name.startswith("SimHash"):
+            want = kept_by_links([(i, r.text) for i, r in before.items()])
+        elif name.startswith("benchmark"):
+            want = {i for i, r in before.items() if not leaked(r.text, items)}
+        else:
+            want = set(before)
+            for i, r in before.items():
+                if not any(m for rule in secrets.BASE_RULES for m in re.finditer(rule.pattern, r.text) if m.end(rule.group) - m.start(rule.group) >= rule.least):
+                    assert after[i].text == r.text
+                else:
+                    assert "[SECRET]" in after[i].text and len(after[i].text) == after[i].n_chars
+        assert set(after) == want, name
+    packed = pipeline.STAGES[-1][1](spark, now, sf).collect()
+    assert {r.doc_id for r in packed} == {r.doc_id for r in now.collect()}
