@@ -31,24 +31,30 @@ CHUNK = 1 << 15
 BYTES = 8
 
 
-def fingerprint_of(text: str | None, shingle: int = 3, seed: int = 42) -> int:
-    """64-bit SimHash of the text's word shingles; a bit is set if more than half of the shingles' hashes set it."""
+def shingle_hashes(text: str | None, shingle: int, seed: int) -> Iterator[np.ndarray]:
+    """The hashes of the text's word shingles in order, CHUNK at a time; a shorter text is one shingle."""
     from xxhash import xxh64_intdigest
 
     words = (text or "").encode("utf-8").lower().split()
     if not words:
-        return 0
+        return
     joined = memoryview(b" ".join(words))
     starts = np.zeros(len(words) + 1, dtype=np.int64)
     np.cumsum(np.fromiter(map(len, words), dtype=np.int64, count=len(words)) + 1, out=starts[1:])
     k = min(shingle, len(words))
     lo, hi = starts[: len(words) - k + 1].tolist(), (starts[k:] - 1).tolist()
-    total = np.zeros(64, dtype=np.int64)
     for at in range(0, len(lo), CHUNK):
-        part = [xxh64_intdigest(joined[a:b], seed) for a, b in zip(lo[at : at + CHUNK], hi[at : at + CHUNK], strict=True)]
-        bits = np.unpackbits(np.array(part, dtype="<u8").view(np.uint8).reshape(-1, 8), axis=1, bitorder="little")
+        yield np.array([xxh64_intdigest(joined[a:b], seed) for a, b in zip(lo[at : at + CHUNK], hi[at : at + CHUNK], strict=True)], dtype="<u8")
+
+
+def fingerprint_of(text: str | None, shingle: int = 3, seed: int = 42) -> int:
+    """64-bit SimHash of the text's word shingles; a bit is set if more than half of the shingles' hashes set it."""
+    total, n = np.zeros(64, dtype=np.int64), 0
+    for part in shingle_hashes(text, shingle, seed):
+        bits = np.unpackbits(part.view(np.uint8).reshape(-1, 8), axis=1, bitorder="little")
         total += bits.sum(axis=0, dtype=np.int64)
-    return sum(1 << j for j in np.flatnonzero(2 * total > len(lo)).tolist())
+        n += len(part)
+    return sum(1 << j for j in np.flatnonzero(2 * total > n).tolist())
 
 
 def fingerprints(docs: DataFrame, shingle: int = 3, seed: int = 42) -> DataFrame:
@@ -142,9 +148,8 @@ def near_duplicates(docs: DataFrame, shingle: int = 3, bits: int = 2, seed: int
     )
 
 
-def without_near_duplicates(docs: DataFrame, shingle: int = 3, bits: int = 2, seed: int = 42) -> DataFrame:
-    """The rows of ``docs`` whose doc_id is the smallest of its group, one row of each such id; rows without a doc_id stay."""
-    groups = near_duplicates(docs, shingle, bits, seed)
+def keep_heads(docs: DataFrame, groups: DataFrame) -> DataFrame:
+    """The rows of ``docs`` whose doc_id is the component_id of its group, one row of each such id; rows without a doc_id stay."""
     heads = groups.where("doc_id = component_id").select("doc_id").distinct()
     # Rows that repeat an id (one head, several rows) are told apart by their content: the least text stays.
     named = docs.where("doc_id is not null")
@@ -153,3 +158,8 @@ def without_near_duplicates(docs: DataFrame, shingle: int = 3, bits: int = 2, se
     single = kept.join(again, "doc_id", "left_anti")
     double = kept.join(again, "doc_id", "left_semi").dropDuplicates(["doc_id"])
     return single.unionByName(double).unionByName(docs.where("doc_id is null")).select(docs.columns)
+
+
+def without_near_duplicates(docs: DataFrame, shingle: int = 3, bits: int = 2, seed: int = 42) -> DataFrame:
+    """The rows of ``docs`` whose doc_id is the smallest of its group, one row of each such id; rows without a doc_id stay."""
+    return keep_heads(docs, near_duplicates(docs, shingle, bits, seed))
