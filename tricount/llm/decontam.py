@@ -8,16 +8,19 @@ minus item place) are an alignment; it counts if its slots are consistent: a val
 the same value of the document. An item is leaked into a document if the windows that its consistent alignments
 cover are at least the wanted share of the item's windows.
 
-Windows with fewer than two plain words say too little and are left out, on both sides.
+Windows with fewer than two plain words say too little and are left out, on both sides. A capitalised word that starts
+a sentence may be a name or not: windows that hold one are hashed under both readings. An item without any usable
+template window is matched by its literal words.
 
 Defined results: a null or empty text has no window; an item with fewer words than a window is one window of all of
-its words and is found as such; items without any usable window match nothing; repeated rows of one doc_id count as one
+its words and is found as such; items without any word match nothing; repeated rows of one doc_id count as one
 document, repeated item_ids as one item; empty tables give empty tables; other columns are ignored.
 """
 
 from __future__ import annotations
 
 import re
+from collections.abc import Iterator
 from zlib import crc32
 
 import numpy as np
@@ -41,6 +44,8 @@ _NUMBER = re.compile(rf"([{SIGNS}]?)([+-]?\d[\d.,:/]*)([^\W\d_]*|[{SIGNS}])$")
 _EDGE = re.compile(r"^[^\w$€£¥+-]+|[^\w%°$€£]+$")
 _ENDS = (".", "!", "?", ":", "…")
 _PLAIN, _NAME, _NUM, _UNIT = range(4)
+#: Readings of a text.
+WORD, NAME, LITERAL = range(3)
 
 
 def canonical(word: str) -> tuple[str, str, int, bool]:
@@ -68,11 +73,11 @@ def canonical(word: str) -> tuple[str, str, int, bool]:
 
 
 class Templates:
-    """Template words of texts by way of a table of known chunks: (code inside a sentence, code at its start, flags)."""
+    """Template words of texts by way of a table of known chunks: (code inside a sentence, code at its start, flags, code of the word as it stands)."""
 
     def __init__(self):
         self.known = WordTable(self._number, most=300_000)
-        self.codes = np.zeros((1 << 12, 3), dtype=np.int64)
+        self.codes = np.zeros((1 << 12, 4), dtype=np.int64)
         self.used, self.new = 0, []
 
     def _number(self, word: str) -> int:
@@ -89,23 +94,28 @@ class Templates:
         if self.new:
             end = self.used + len(self.new)
             if end > len(self.codes):
-                self.codes = np.concatenate([self.codes, np.zeros((max(end, len(self.codes)), 3), dtype=np.int64)])
+                self.codes = np.concatenate([self.codes, np.zeros((max(end, len(self.codes)), 4), dtype=np.int64)])
             self.codes[self.used : end] = self.new
             self.used = end
             self.new.clear()
         return self.codes[rows]
 
     @staticmethod
-    def _codes(word: str) -> tuple[int, int, int]:
+    def _codes(word: str) -> tuple[int, int, int, int]:
         shown, value, kind, ends = canonical(word)
         if not shown:
-            return 0, 0, 4 | 8 * (ends or word == "\n")
+            return 0, 0, 4 | 8 * (ends or word == "\n"), 0
         inside = crc32(shown.encode("utf-8", "replace")) or 1
         start = crc32(value.encode("utf-8", "replace")) or 1 if kind == _NAME else inside
-        return inside, start, kind | 8 * ends
+        return inside, start, kind | 8 * ends, crc32(f"={value or shown}".encode("utf-8", "replace"))
 
     def of(self, text: str | None) -> tuple[list[str], np.ndarray, np.ndarray]:
-        """Chunks that give template words, their codes, and their kinds."""
+        """Chunks that give template words, their codes, and their kinds; a capitalised word that starts a sentence is a plain word."""
+        chunks, readings = self.readings(text)
+        return chunks, *readings[WORD]
+
+    def readings(self, text: str | None) -> tuple[list[str], list[tuple[np.ndarray, np.ndarray]]]:
+        """Chunks that give template words, and their codes and kinds by reading: WORD, NAME (a capitalised word that starts a sentence is a name) and LITERAL (no placeholders)."""
         chunks = (text or "").replace("\t", " ").replace("\r", "\n").replace("\n", " \n ").split(" ")
         got = self._rows(chunks)
         ends = (got[:, 2] & 8) > 0
@@ -124,9 +134,11 @@ class Templates:
         if len(place) > 1:
             beside[1:] |= kind[:-1] == _NUM
         unit = (kind == _UNIT) & beside
+        named = np.where(unit, _UNIT_CODE, got[place, 0])
         code = np.where(unit, _UNIT_CODE, code)
-        kind = np.where(unit, _UNIT, np.where((kind == _UNIT) | ((kind == _NAME) & first), _PLAIN, kind))
-        return [chunks[p] for p in place.tolist()], code, kind
+        kind = np.where((kind == _UNIT) & ~unit, _PLAIN, kind)
+        plain = np.where((kind == _NAME) & first, _PLAIN, kind)
+        return [chunks[p] for p in place.tolist()], [(code, plain), (named, kind), (got[place, 3], np.zeros(len(place), dtype=np.int64))]
 
 
 _UNIT_CODE = crc32(b"<unit>")
@@ -150,8 +162,18 @@ def windows(code: np.ndarray, kind: np.ndarray, width: int = WINDOW) -> tuple[np
     return keep, h[keep].view(np.int64)
 
 
-def _short_hashes(code: np.ndarray, kind: np.ndarray, widths: list[int]) -> list[tuple[int, np.ndarray, np.ndarray]]:
-    return [(w, *windows(code, kind, w)) for w in widths if w <= len(code)]
+def _read_windows(readings: list[tuple[np.ndarray, np.ndarray]], width: int, literal: bool) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
+    """(reading, places, hashes): windows of template words; those that hold a sentence's capitalised first word also with that word as a name; if asked for, of literal words."""
+    code, kind = readings[WORD]
+    yield WORD, *windows(code, kind, width)
+    other, named = readings[NAME]
+    changed = np.concatenate([[0], np.cumsum(kind != named)])
+    if changed[-1]:
+        places, hashes = windows(other, named, width)
+        held = changed[np.minimum(places + width, len(code))] > changed[places]
+        yield NAME, places[held], hashes[held]
+    if literal:
+        yield LITERAL, *windows(*readings[LITERAL], width)
 
 
 def _slots(chunks: list[str], kind: np.ndarray, at: int, width: int) -> list[str]:
@@ -165,40 +187,43 @@ def _bits(h: np.ndarray) -> np.ndarray:
     return np.stack([u & np.uint64(BITS - 1), (u >> np.uint64(32)) & np.uint64(BITS - 1)]).astype(np.int64)
 
 
-_WINDOW_DDL = "id long, place int, hash long, width int, slots array<string>"
+_WINDOW_DDL = "id long, place int, hash long, width int, reading int, slots array<string>"
 
 
 def benchmark_windows(benchmark: DataFrame, width: int = WINDOW) -> DataFrame:
-    """item_id, place, hash, width and slots of all windows of the items."""
+    """item_id, place, hash, width, reading and slots of all windows of the items."""
 
     def rows(templates, ids, texts):
-        out = {k: [] for k in ("id", "place", "hash", "width", "slots")}
+        out = {k: [] for k in ("id", "place", "hash", "width", "reading", "slots")}
         for item, text in zip(ids, texts, strict=True):
-            chunks, code, kind = templates.of(text)
-            own = min(width, len(code))
-            for at, h in zip(*(x.tolist() for x in windows(code, kind, width)), strict=True):
-                for k, v in zip(out, (item, at, h, own, _slots(chunks, kind, at, own)), strict=True):
-                    out[k].append(v)
+            chunks, readings = templates.readings(text)
+            own = min(width, len(chunks))
+            literal = not len(windows(*readings[WORD], width)[0])  # no window says enough: the words as they stand
+            for reading, places, hashes in _read_windows(readings, width, literal):
+                for at, h in zip(places.tolist(), hashes.tolist(), strict=True):
+                    for k, v in zip(out, (item, at, h, own, reading, _slots(chunks, readings[reading][1], at, own)), strict=True):
+                        out[k].append(v)
         return out
 
-    return arrow_map(benchmark.select("item_id", "text"), _WINDOW_DDL, rows, start=Templates).withColumnRenamed("id", "item_id").dropDuplicates(["item_id", "place"])
+    return arrow_map(benchmark.select("item_id", "text"), _WINDOW_DDL, rows, start=Templates).withColumnRenamed("id", "item_id").dropDuplicates(["item_id", "place", "reading"])
 
 
-def document_hits(docs: DataFrame, filter_bits: np.ndarray, widths: list[int]) -> DataFrame:
-    """id, place, hash, width and slots of the windows of the documents that pass the filter; texts stay where they are."""
+def document_hits(docs: DataFrame, filter_bits: np.ndarray, widths: list[int], literal: bool = False) -> DataFrame:
+    """id, place, hash, width, reading and slots of the windows of the documents that pass the filter; texts stay where they are."""
     held = docs.sparkSession.sparkContext.broadcast(filter_bits)
 
     def rows(templates, ids, texts):
-        out = {k: [] for k in ("id", "place", "hash", "width", "slots")}
+        out = {k: [] for k in ("id", "place", "hash", "width", "reading", "slots")}
         bits = held.value
         for doc, text in zip(ids, texts, strict=True):
-            chunks, code, kind = templates.of(text)
-            for w, places, hashes in _short_hashes(code, kind, widths):
-                one, two = _bits(hashes)
-                hit = np.flatnonzero((bits[one >> 3] >> (one & 7).astype(np.uint8)) & (bits[two >> 3] >> (two & 7).astype(np.uint8)) & 1)
-                for at, h in zip(places[hit].tolist(), hashes[hit].tolist(), strict=True):
-                    for k, v in zip(out, (doc, at, h, w, _slots(chunks, kind, at, w)), strict=True):
-                        out[k].append(v)
+            chunks, readings = templates.readings(text)
+            for w in (w for w in widths if w <= len(chunks)):
+                for reading, places, hashes in _read_windows(readings, w, literal):
+                    one, two = _bits(hashes)
+                    hit = np.flatnonzero((bits[one >> 3] >> (one & 7).astype(np.uint8)) & (bits[two >> 3] >> (two & 7).astype(np.uint8)) & 1)
+                    for at, h in zip(places[hit].tolist(), hashes[hit].tolist(), strict=True):
+                        for k, v in zip(out, (doc, at, h, w, reading, _slots(chunks, readings[reading][1], at, w)), strict=True):
+                            out[k].append(v)
         return out
 
     return arrow_map(docs.select("doc_id", "text"), _WINDOW_DDL, rows, start=Templates)
@@ -220,19 +245,28 @@ def leaks(docs: DataFrame, benchmark: DataFrame, width: int = WINDOW, share: flo
         b = batch.column(0).to_numpy()
         np.bitwise_or.at(bits, b >> 3, (1 << (b & 7)).astype(np.uint8))
     widths = sorted(r[0] for r in grams.select("width").distinct().collect())  # at most ``width`` values
-    hits = document_hits(docs, bits, widths)
+    literal = bool(grams.where(F.col("reading") == LITERAL).head(1))
+    hits = document_hits(docs, bits, widths, literal)
 
     # The join is on the hash; the benchmark's side is far smaller and broadcast by Spark only if below its threshold.
-    met = hits.withColumnRenamed("id", "doc_id").withColumnRenamed("place", "at").join(grams.select("item_id", "place", "hash", "width", F.col("slots").alias("item_slots")), ["hash", "width"])
+    met = hits.withColumnRenamed("id", "doc_id").withColumnRenamed("place", "at").join(grams.select("item_id", "place", "hash", "width", F.col("reading").alias("item_reading"), F.col("slots").alias("item_slots")), ["hash", "width"])
+    met = met.where((F.col("reading") == LITERAL) == (F.col("item_reading") == LITERAL))
     met = met.withColumn("diagonal", F.col("at") - F.col("place"))
     # Slots of one alignment: every value of the item against the values of the document.
     value = lambda slot: F.regexp_replace(slot, "^[0-9]+:", "")
     pairs = F.zip_with("item_slots", "slots", lambda i, d: F.struct(value(i).alias("item"), value(d).alias("doc")))
     met = met.withColumn("pair", F.when(F.size("slots") == F.size("item_slots"), pairs))
-    aligned = met.groupBy("doc_id", "item_id", "diagonal").agg(F.collect_set("place").alias("places"), F.array_distinct(F.flatten(F.collect_set("pair"))).alias("pairs"), F.bool_and(F.col("pair").isNotNull()).alias("whole"))
-    left = F.transform("pairs", lambda p: p["item"])
-    fine = aligned.where(F.col("whole") & (F.size(F.array_distinct(left)) == F.size("pairs")))
-    found = fine.groupBy("doc_id", "item_id").agg(F.size(F.array_distinct(F.flatten(F.collect_list("places")))).alias("n_matched"))
+    # Windows in which a first word is read as a name count if their slots agree with all others; else those without count alone.
+    sure = (F.col("reading") != NAME) & (F.col("item_reading") != NAME)
+
+    def gathered(name, seen):
+        pair = F.when(seen, F.col("pair"))
+        return [F.collect_set(F.when(seen, F.col("place"))).alias(f"places{name}"), F.array_distinct(F.flatten(F.collect_set(pair))).alias(f"pairs{name}"), F.coalesce(F.bool_and(F.when(seen, F.col("pair").isNotNull())), F.lit(True)).alias(f"whole{name}")]
+
+    aligned = met.groupBy("doc_id", "item_id", "diagonal").agg(*gathered("", F.lit(True)), *gathered("_sure", sure))
+    fine = lambda name: F.col(f"whole{name}") & (F.size(F.array_distinct(F.transform(f"pairs{name}", lambda p: p["item"]))) == F.size(f"pairs{name}"))
+    chosen = aligned.withColumn("places", F.when(fine(""), F.col("places")).when(fine("_sure"), F.col("places_sure"))).where("places is not null")
+    found = chosen.groupBy("doc_id", "item_id").agg(F.size(F.array_distinct(F.flatten(F.collect_list("places")))).alias("n_matched"))
     out = found.join(sizes, "item_id").withColumn("share", F.col("n_matched") / F.col("n_windows")).where(F.col("share") >= share)
     return out.select("doc_id", "item_id", F.col("n_windows").cast("int").alias("n_windows"), "n_matched", "share")
 
