@@ -46,7 +46,7 @@ def shape(word: str) -> str:
 
 def _codes(word: str) -> int:
     """32 bits for the word and 32 for its shape, in one integer."""
-    return crc32(word.lower().encode("utf-8", "replace")) << 32 | crc32(shape(word[:200]).encode("utf-8", "replace"))
+    return crc32(word.lower().encode("utf-8", "replace")) << 32 | crc32(shape(word).encode("utf-8", "replace"))
 
 
 def word_codes() -> WordTable:
