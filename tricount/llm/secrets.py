@@ -59,6 +59,7 @@ def _pieces(tree, fold: bool):
     """(exact strings or None, query) of a parse tree: the strings it can be, if few, and trigrams that it must hold."""
     exact: list[str] | None = [""]
     query: list[frozenset] = []
+    skipped = False
 
     def close(strings):
         """What the strings read so far demand: every string's trigrams, as an OR of ANDs."""
@@ -66,9 +67,10 @@ def _pieces(tree, fold: bool):
             query.append(frozenset(frozenset(s.encode()[i : i + 3] for i in range(len(s.encode()) - 2)) for s in strings))
 
     def follow(strings):
-        nonlocal exact
+        nonlocal exact, skipped
         if strings is None or len(exact) * len(strings) > _MANY:
             close(exact)
+            skipped = True
             exact = [""] if strings is None else list(strings)
         else:
             exact = [a + b for a in exact for b in strings]
@@ -94,9 +96,8 @@ def _pieces(tree, fold: bool):
             else:
                 follow(None)
 
-    before = len(query)
     go(tree, fold)
-    if len(query) == before and exact is not None:
+    if not skipped:
         return exact, []
     close(exact)
     return None, query
