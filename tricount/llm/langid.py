@@ -154,7 +154,7 @@ def train(docs: DataFrame, learn: Column, per_lang: int = 300, clusters: int = 3
             if (own == j).any():
                 centroids.append(c[j])
                 langs.append(lang)
-                least.append(float(np.quantile(cos[own == j, j], strict)) * 0.8)
+                least.append(float(np.quantile(cos[own == j, j], strict)))
     return LanguageModel(idf, np.array(centroids, dtype=np.float32).reshape(-1, DIM), tuple(langs), np.array(least))
 
 
