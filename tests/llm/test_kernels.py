@@ -191,5 +191,27 @@ def test_viterbi_equals_all_paths():
 
 
 def test_best_of_ties():
-    ids, scores = np.array([5, 1, 3, 2]), np.array([7, 7, 9, 7])
-    assert sorted(ids[topk._best(ids, scores, 3)].tolist()) == [1, 2, 3]
+    ids, scores = np.array([5, 1, 3, 2, 9]), np.array([7, 7, 9, 7, 1])
+    query = np.array([0, 0, 0, 0, 1])
+    assert sorted(ids[topk.best(query, ids, scores, 3)].tolist()) == [1, 2, 3, 9]
+    assert len(topk.best(query[:0], ids[:0], scores[:0], 3)) == 0
+
+
+@pytest.mark.parametrize("wide", [False, True])
+def test_meeting_of_lists_equals_all_sums(wide):
+    """Sums of at least the cutoff, with fewer partial scores than all; beyond 2^53 in integers."""
+    rng = np.random.default_rng(8)
+    x, q = rng.normal(0, 60, (900, 64)).round().astype(np.int64), rng.normal(0, 60, (90, 64)).round().astype(np.int64)
+    x *= rng.integers(1, 6, (900, 1))
+    if wide:
+        x <<= 21
+        q <<= 21
+    cut = lambda v: [v[:, a:b] for a, b in topk._edges(64, 8)]
+    want = x @ q.T
+    low = np.sort(want, axis=0)[-5].astype(float)
+    low[3] = -np.inf
+    e, i, total, computed = topk.meet(cut(x), cut(q), low)
+    fine = want >= np.where(np.isfinite(low), low, -2.0**62)[None, :]
+    assert set(zip(e.tolist(), i.tolist(), strict=True)) == set(zip(*(v.tolist() for v in np.nonzero(fine)), strict=True))
+    assert (total == want[e, i]).all()
+    assert computed == 8 * want.size if wide else computed < 7 * want.size

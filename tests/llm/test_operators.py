@@ -116,22 +116,48 @@ def test_links_of_dense_postings(spark):
     assert got == {(a, b) for i, a in enumerate(fps) for b in fps[i + 1 :] if (a ^ b).bit_count() <= 2}
 
 
-def test_top_k(spark):
+def brute_top(rows, k=5, every=50):
+    """(query_id, rank, vec_id, score) by all pairs of rows."""
+    kept = [(i, np.floor(256 * np.array(v, dtype=np.float64)).astype(object)) for i, v in rows if v is not None and i is not None and all(x is not None and np.isfinite(x) for x in v)]
+    out = []
+    for n, (i, q) in enumerate(kept):
+        if i % every == 0:
+            met = sorted((-sum(int(a) * int(b) for a, b in zip(q, v, strict=True)), j) for m, (j, v) in enumerate(kept) if m != n and len(v) == len(q))
+            out += [(i, r + 1, j, -s) for r, (s, j) in enumerate(met[:k])]
+    return sorted(out)
+
+
+@pytest.mark.parametrize("partitions", [1, 4])
+def test_top_k(spark, partitions):
     rng = np.random.default_rng(5)
     x = np.round(rng.normal(size=(700, 10)), 2).astype(np.float32)
     x[100:160] = x[100]  # many equal vectors
-    rows = [(int(i), [float(v) for v in r], 1) for i, r in enumerate(x)] + [(9001, None, 1), (9050, [1.0, None], 1), (9100, [float("nan")] * 10, 1), (0, [float(v) for v in x[0]], 1), (9150, [1.0, 2.0], 1)]
-    got = sorted(map(tuple, topk.top_k(spark.createDataFrame(rows, "vec_id long, embedding array<float>, score int").repartition(4), F.col("vec_id") % 50 == 0).collect()))
-    q = np.floor(256 * x.astype(np.float64)).astype(np.int64)
-    want = []
-    for i in range(0, 700, 50):
-        s = q @ q[i]
-        best = [j for j in np.lexsort((np.arange(700), -s)) if j != i][:5]
-        want += [(i, k + 1, int(j), int(s[j])) for k, j in enumerate(best)]
-    assert got == sorted(want)
+    rows = [(int(i), [float(v) for v in r]) for i, r in enumerate(x)] + [(9001, None), (9050, [1.0, None]), (9100, [float("nan")] * 10), (0, [float(v) for v in x[0]]), (9150, [1.0, 2.0]), (None, [1.0, 2.0]), (9160, [0.5, 3.0])]
+    d = spark.createDataFrame([(i, v, 1) for i, v in rows], "vec_id long, embedding array<float>, score int").repartition(partitions)
+    got = sorted(map(tuple, topk.top_k(d, F.col("vec_id") % 50 == 0).collect()))
+    assert got == brute_top(rows)
     assert topk.top_k(spark.createDataFrame([], "vec_id long, embedding array<float>"), F.col("vec_id") % 50 == 0).count() == 0
 
 
+def test_top_k_of_rows_that_repeat_an_id(spark):
+    """Every row is a candidate, also those of an id that occurs again with another vector, or of the query's own id."""
+    rows = [(0, [1.0, 0.0]), (1, [1.0, 1.0]), (1, [5.0, 0.0]), (2, [0.5, 0.0]), (2, [0.25, 9.0]), (50, [2.0, 1.0]), (50, [0.0, 1.0])]
+    d = spark.createDataFrame(rows, "vec_id long, embedding array<float>").repartition(3)
+    got = sorted(map(tuple, topk.top_k(d, F.col("vec_id") % 50 == 0).collect()))
+    assert got == brute_top(rows) and got[0] == (0, 1, 1, 5 * 65536)
+
+
+def test_top_k_reads_less_than_all(spark, sf):
+    """Fewer partial scores than queries x candidates x lists."""
+    d = spark.read.parquet(f"{sf}/embeddings.parquet")
+    seen = spark.sparkContext.accumulator(0)
+    n = d.count()
+    got = sorted(map(tuple, topk.top_k(d, F.col("vec_id") % 50 == 0, seen=seen).collect()))
+    assert got == brute_top([(r.vec_id, r.embedding) for r in d.collect()])
+    asked = d.where("vec_id % 50 = 0").count()
+    assert 0 < seen.value < asked * n * 8
+
+
 ITEM = "Anna walked slowly down to the old river bank and counted 12 grey ducks that swam near the bridge while Tom waited"
 
 
