@@ -5,7 +5,7 @@ import random
 
 import pytest
 
-from tricount.llm import jaccard
+from tricount.llm import jaccard, simhash
 
 DOC = "doc_id long, text string, lang string, source string, n_chars long, score double, rank int"
 
@@ -73,5 +73,20 @@ def test_odd_rows(spark):
     text = " ".join(map(str, range(50)))
     docs = spark.createDataFrame([(None, text, "en", "s", 0, 0.5, 1), (3, text, "en", "s", 0, 0.5, 1), (2, text + " x", "en", "s", 0, 0.5, 1), (7, "a", "en", "s", 0, 0.5, 1), (7, "b", "en", "s", 0, 0.5, 1)], DOC)
     left = jaccard.without_similar(docs)
-    assert left.columns == docs.columns and sorted(str(r.doc_id) for r in left.collect()) == ["2", "7", "None"]
+    assert left.columns == docs.columns and sorted(str(r.doc_id) for r in left.collect()) == ["2", "7", "7", "None"]
     assert jaccard.similar_groups(docs.limit(0)).count() == 0
+
+
+@pytest.mark.parametrize("partitions", [1, 3, 8])
+@pytest.mark.parametrize("stage", ["jaccard", "simhash"])
+def test_rows_that_repeat_an_id_are_judged_by_their_texts(spark, partitions, stage):
+    """Eight texts that share nothing under one id all stay; copies under one id leave one row, the same whatever the partitions."""
+    rng = random.Random(4)
+    texts = [" ".join(f"v{rng.randrange(10**6)}" for _ in range(40)) for _ in range(8)]
+    rows = [(5, t, "en", "s", 0, 0.5, 1) for t in texts] + [(6, texts[0], "en", "t", 0, 0.5, 1)] + [(9, "copied " + texts[1], "en", "x" * k, k, 0.5, 1) for k in range(4)]
+    docs = spark.createDataFrame(rows, DOC).repartition(partitions)
+    keep = jaccard.without_similar if stage == "jaccard" else simhash.without_near_duplicates
+    got = sorted((r.doc_id, r.text, r.n_chars) for r in keep(docs).collect() if r.doc_id == 5)
+    assert [t for _, t, _ in got] == sorted(texts)
+    alone = spark.createDataFrame([r for r in rows if r[0] == 9], DOC).repartition(partitions)
+    assert [r.n_chars for r in keep(alone).collect()] == [r.n_chars for r in keep(alone.coalesce(1)).collect()] and keep(alone).count() == 1

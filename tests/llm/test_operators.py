@@ -8,6 +8,7 @@ import numpy as np
 import public_tokenizers
 import pytest
 from pyspark.sql import functions as F
+from test_jaccard import kept
 
 from tricount.llm import components, decontam, extraction, langid, packing, quality, secrets, sharding, simhash, topk, toxicity
 from tricount.llm.common import fold
@@ -108,12 +109,19 @@ def test_near_duplicates(docs, spark):
     assert simhash.near_duplicates(docs.limit(0)).count() == 0
 
 
-def test_links_of_dense_postings(spark):
-    """Fingerprints that share six bytes: postings of many entries, against all pairs."""
+@pytest.mark.parametrize("tally", [8, 256])
+@pytest.mark.parametrize("bits", [1, 2])
+def test_links_of_dense_postings(spark, bits, tally, monkeypatch):
+    """Fingerprints that share six bytes, or any four: postings of many entries, tallied or split, against all pairs."""
+    monkeypatch.setattr(simhash, "TALLY", tally)
     rng = random.Random(3)
-    fps = sorted({0x1122334455660000 | rng.randrange(1 << 16) for _ in range(400)} | {rng.randrange(1 << 63) for _ in range(50)})
-    got = {(r.a, r.b) for r in simhash.fingerprint_links(spark.createDataFrame([(x,) for x in fps], "fp long"), 2).collect()}
-    assert got == {(a, b) for i, a in enumerate(fps) for b in fps[i + 1 :] if (a ^ b).bit_count() <= 2}
+    dense = {0x1122334455660000 | rng.randrange(1 << 16) for _ in range(400)}
+    sparse = {rng.randrange(1 << 63) for _ in range(50)}
+    near = {x ^ 1 << rng.randrange(63) ^ 1 << rng.randrange(63) for x in sparse for _ in range(4)}
+    four = {0x7700660055004400 | sum(rng.randrange(4) << 16 * k for k in range(4)) for _ in range(120)}
+    fps = sorted(dense | sparse | near | four)
+    got = {(r.a, r.b) for r in simhash.fingerprint_links(spark.createDataFrame([(x,) for x in fps], "fp long"), bits).collect()}
+    assert got == {(a, b) for i, a in enumerate(fps) for b in fps[i + 1 :] if (a ^ b).bit_count() <= bits}
 
 
 def brute_top(rows, k=5, every=50):
@@ -222,24 +230,6 @@ def test_models_on_labelled_tables(spark, task):
     assert len(none) == len(rows)
 
 
-def kept_by_links(rows):
-    """The smallest id of each group of fingerprints within two bits, by all pairs."""
-    prints = [(i, simhash.fingerprint_of(t)) for i, t in rows]
-    group = {i: i for i, _ in prints}
-
-    def find(x):
-        while group[x] != x:
-            x = group[x]
-        return x
-
-    for n, (i, a) in enumerate(prints):
-        for j, b in prints[n + 1 :]:
-            if (a ^ b).bit_count() <= 2:
-                x, y = sorted((find(i), find(j)))
-                group[y] = x
-    return {i for i, _ in prints if find(i) == i}
-
-
 def leaked(text, items):
     """Whether 0.8 of an item's windows of five template words occur in the text (the items have no slots that vary)."""
 
@@ -267,7 +257,7 @@ def test_pipeline_against_brute_force(spark, sf):
         if name.startswith("quality"):
             want = {i for i, r in before.items() if model.score(quality.features(r.text, table_)) >= 0.3}
         elif name.startswith("SimHash"):
-            want = kept_by_links([(i, r.text) for i, r in before.items()])
+            want = kept([(i, r.text) for i, r in before.items()])
         elif name.startswith("benchmark"):
             want = {i for i, r in before.items() if not leaked(r.text, items)}
         else:
