@@ -109,8 +109,7 @@ def test_near_duplicates(docs, spark):
     assert simhash.near_duplicates(docs.limit(0)).count() == 0
 
 
-@pytest.mark.parametrize("tally", [8, 256])
-@pytest.mark.parametrize("bits", [1, 2])
+@pytest.mark.parametrize(("bits", "tally"), [(1, 8), (2, 8), (2, 256)])
 def test_links_of_dense_postings(spark, bits, tally, monkeypatch):
     """Fingerprints that share six bytes, or any four: postings of many entries, tallied or split, against all pairs."""
     monkeypatch.setattr(simhash, "TALLY", tally)
