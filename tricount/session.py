@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import atexit
+import contextlib
 import tempfile
 import uuid
 
@@ -28,16 +30,43 @@ def local_session(cores: int | str = "*", shuffle: int = 8, memory: str = "8g")
     return spark
 
 
+def remove(spark: SparkSession, paths: list[str]) -> None:
+    """Delete folders of stored tables that nothing needs any more."""
+    context = spark.sparkContext
+    for path in paths:
+        p = context._jvm.org.apache.hadoop.fs.Path(path)
+        p.getFileSystem(context._jsc.hadoopConfiguration()).delete(p, True)
+    paths.clear()
+
+
+_FOLDERS: set[str] = set()
+
+
 def shared_folder(spark: SparkSession) -> str:
-    """The folder in spark.checkpoint.dir; one of its own only where the session names none."""
+    """This application's folder below spark.checkpoint.dir, which goes when the application ends.
+
+    Only a local session may lack that setting: it gets a folder of its own. On a cluster other machines could not read one.
+    """
+    context = spark.sparkContext
     folder = spark.conf.get("spark.checkpoint.dir", None)
     if not folder:
-        kept = spark.sparkContext._jsc.sc().getCheckpointDir()
+        kept = context._jsc.sc().getCheckpointDir()
         if kept.isEmpty():
-            spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="tricount-"))
-            kept = spark.sparkContext._jsc.sc().getCheckpointDir()
+            if not context.master.startswith("local"):
+                raise RuntimeError("spark.checkpoint.dir has to name a folder that driver and executors share")
+            context.setCheckpointDir(tempfile.mkdtemp(prefix="tricount-"))
+            kept = context._jsc.sc().getCheckpointDir()
         folder = kept.get()
-    return folder.rstrip("/")
+    path = f"{folder.rstrip('/')}/tricount-{context.applicationId}"
+    if path not in _FOLDERS:
+        _FOLDERS.add(path)
+
+        def clean() -> None:
+            with contextlib.suppress(Exception):  # the session may be gone
+                remove(spark, [path])
+
+        atexit.register(clean)
+    return path
 
 
 def cut(df: DataFrame) -> DataFrame:
