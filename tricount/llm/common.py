@@ -2,16 +2,18 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 from collections.abc import Callable, Iterator
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql.pandas.types import to_arrow_schema
 
+from ..session import shared_folder
+
 #: Rows of an Arrow batch that are turned into Python objects at once.
 SLICE_ROWS = 256
 
@@ -57,22 +59,10 @@ def arrow_fold(df: DataFrame, ddl: str, start: Callable[[], object], add: Callab
     return df.mapInArrow(run, schema)
 
 
-def shared_folder(spark: SparkSession) -> str:
-    """The folder that driver and executors share; one of its own only where the session names none."""
-    folder = spark.conf.get("spark.checkpoint.dir", None)
-    if not folder:
-        kept = spark.sparkContext._jsc.sc().getCheckpointDir()
-        if kept.isEmpty():
-            spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="tricount-"))
-            kept = spark.sparkContext._jsc.sc().getCheckpointDir()
-        folder = kept.get()
-    return folder.rstrip("/")
-
-
 def stored(df: DataFrame, keep: list[str] | None = None) -> DataFrame:
     """``df`` written to the shared folder and read again: cuts lineage and survives the loss of executors.
 
-    keep: if given, gets the path, so that the caller can remove it with ``dropped``.
+    keep: if given, gets the path, so that the caller can remove it with ``remove``.
     """
     spark = df.sparkSession
     path = f"{shared_folder(spark)}/stored-{uuid.uuid4().hex}"
@@ -82,14 +72,24 @@ def stored(df: DataFrame, keep: list[str] | None = None) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
-def dropped(spark: SparkSession, paths: list[str]) -> None:
-    """Remove stored tables that nothing needs any more."""
-    jvm = spark.sparkContext._jvm
-    conf = spark.sparkContext._jsc.hadoopConfiguration()
-    for path in paths:
-        p = jvm.org.apache.hadoop.fs.Path(path)
-        p.getFileSystem(conf).delete(p, True)
-    paths.clear()
+def bitmap(numbers: DataFrame, cells: Callable[[np.ndarray], np.ndarray], bits: int) -> np.ndarray:
+    """A bitmap of ``bits`` bits in which the cells of every number (the one LONG column) are marked.
+
+    Marks are joined to words of 63 bits on the executors: at most bits / 63 rows reach the driver, whatever the table.
+    """
+
+    def words(x):
+        at = np.unique(cells(np.array(x, dtype=np.int64)))
+        word, start = np.unique(at // 63, return_index=True)
+        return {"word": word, "mask": np.bitwise_or.reduceat(np.int64(1) << (at % 63), start) if len(at) else at}
+
+    made = np.zeros(bits, dtype=bool)
+    for batch in arrow_map(numbers, "word int, mask long", words).groupBy("word").agg(F.bit_or("mask")).toArrow().to_batches():
+        word, mask = batch.column(0).to_numpy().astype(np.int64), batch.column(1).to_numpy()
+        for k in range(63):
+            at = 63 * word[(mask >> k & 1) > 0] + k
+            made[at] = True
+    return np.packbits(made, bitorder="little")
 
 
 def documents(spark: SparkSession, sf_dir: str) -> DataFrame:

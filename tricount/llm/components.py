@@ -10,7 +10,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import dropped, stored
+from ..session import remove
+from .common import stored
 
 
 def _hub(links: DataFrame, large: bool) -> DataFrame:
@@ -50,7 +51,7 @@ def components(links: DataFrame, rounds: int = 50) -> DataFrame:
         now = stored(_hub(_hub(_dealt(now, mark[0]), large=True), large=False), new)
         # A forest of stars that both rounds leave alone is the end; sums of hashes tell whether anything moved.
         seen = tuple(_dealt(now, mark[0]).agg(F.count(F.lit(1)), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)")), F.sum(F.xxhash64("b", "a").cast("decimal(38,0)"))).collect()[0])
-        dropped(spark, old)
+        remove(spark, old)
         old = new
         if seen == mark:
             break

@@ -27,14 +27,14 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import WordTable, arrow_map
+from .common import WordTable, arrow_map, bitmap
 
 #: Words of a window, and the share of an item's windows that makes a leak.
 WINDOW, SHARE = 5, 0.8
 #: Bits of the Bloom filter, a power of two: 4 MB whatever the benchmark's size.
 BITS = 1 << 25
-#: Words of a text that are hashed at once.
-CHUNK = 1 << 16
+#: Lanes of the join of windows.
+SALT = 16
 
 # Words that are units beside a number, and signs of currency and share.
 UNITS = frozenset("mm cm m km in inch inches ft feet yd mile miles mg g kg t oz lb lbs ml l cl gal s sec secs second seconds min mins minute minutes h hr hrs hour hours day days week weeks month months year years hz khz mhz ghz w kw mw v kv a ma j kj cal kcal k c f pa kpa bar psi mph kmh kph eur usd gbp euro euros dollar dollars pound pounds cent cents percent degree degrees".split())
@@ -235,21 +235,16 @@ def leaks(docs: DataFrame, benchmark: DataFrame, width: int = WINDOW, share: flo
     grams = benchmark_windows(items, width)
     sizes = grams.groupBy("item_id").agg(F.countDistinct("place").alias("n_windows"))
 
-    # The filter: each partition of the benchmark sets its bits; at most BITS places are gathered, whatever the size.
-    def places(h):
-        one = _bits(np.array(h, dtype=np.int64))
-        return {"bit": np.unique(one)}
-
-    bits = np.zeros(BITS >> 3, dtype=np.uint8)
-    for batch in arrow_map(grams.select("hash"), "bit int", places).distinct().toArrow().to_batches():
-        b = batch.column(0).to_numpy()
-        np.bitwise_or.at(bits, b >> 3, (1 << (b & 7)).astype(np.uint8))
+    bits = bitmap(grams.select("hash"), lambda h: _bits(h).ravel(), BITS)
     widths = sorted(r[0] for r in grams.select("width").distinct().collect())  # at most ``width`` values
     literal = bool(grams.where(F.col("reading") == LITERAL).head(1))
     hits = document_hits(docs, bits, widths, literal)
 
-    # The join is on the hash; the benchmark's side is far smaller and broadcast by Spark only if below its threshold.
-    met = hits.withColumnRenamed("id", "doc_id").withColumnRenamed("place", "at").join(grams.select("item_id", "place", "hash", "width", F.col("reading").alias("item_reading"), F.col("slots").alias("item_slots")), ["hash", "width"])
+    # The join is on the hash. A window may stand in a third of all documents: their side is dealt to SALT lanes by
+    # document, and the benchmark's side, far smaller, is in every lane.
+    lane = F.pmod(F.xxhash64("doc_id", "at"), F.lit(SALT)).cast("int")
+    held = grams.select("item_id", "place", "hash", "width", F.col("reading").alias("item_reading"), F.col("slots").alias("item_slots"), F.explode(F.sequence(F.lit(0), F.lit(SALT - 1))).alias("lane"))
+    met = hits.withColumnRenamed("id", "doc_id").withColumnRenamed("place", "at").withColumn("lane", lane).join(held, ["hash", "width", "lane"])
     met = met.where((F.col("reading") == LITERAL) == (F.col("item_reading") == LITERAL))
     met = met.withColumn("diagonal", F.col("at") - F.col("place"))
     # Slots of one alignment: every value of the item against the values of the document.

@@ -6,7 +6,7 @@ on a bounded sample of its training texts; document frequencies come from all tr
 centroid with the largest cosine is predicted; a text farther from that centroid than nearly all of its own sample
 is marked as rejected.
 
-The model has a fixed size: (languages x clusters) x DIM numbers.
+The model has a bounded size: at most LANGUAGES x clusters x DIM numbers.
 
 Defined results: a null text or one without a letter is "und" with score 0; rows without a language are not learned
 from; without training texts every row is "und"; ties go to the language first in the alphabet; repeated rows get
@@ -28,6 +28,8 @@ from .common import arrow_fold, arrow_map
 DIM = 1 << 13
 #: Bytes that are turned into n-grams at once.
 CHUNK = 1 << 20
+#: Languages that a model may hold.
+LANGUAGES = 1024
 #: Lanes in which a language's rows are ranked for the sample.
 LANES = 16
 _SPACE = np.arange(256, dtype=np.uint8)
@@ -131,11 +133,15 @@ def train(docs: DataFrame, learn: Column, per_lang: int = 300, clusters: int = 3
     n = counts.get(DIM, 0)
     idf = np.log((1 + n) / (1 + np.array([counts.get(k, 0) for k in range(DIM)], dtype=np.float64))).astype(np.float32) + np.float32(1)
 
-    # A language may hold most rows: it is ranked in lanes by hash, each of which gives its share of the sample.
-    hashed = rows.select("doc_id", "lang", F.xxhash64("doc_id").alias("_h")).withColumn("_lane", F.pmod("_h", F.lit(LANES)))
-    order = Window.partitionBy("lang", "_lane").orderBy("_h", "doc_id")
-    chosen = hashed.withColumn("_r", F.row_number().over(order)).where(F.col("_r") <= -(-per_lang // LANES)).select("doc_id").distinct()
-    sample = rows.join(F.broadcast(chosen), "doc_id").select("lang", "text")  # per_lang rows a language at most
+    if rows.select("lang").distinct().limit(LANGUAGES + 1).count() > LANGUAGES:
+        raise ValueError(f"more than {LANGUAGES} languages")
+    # A language may hold most rows: it is ranked in lanes by hash, each of which gives its share of the sample. Equal
+    # rows of one id count once, so the sample is bounded by rows.
+    hashed = rows.select("doc_id", "lang", F.xxhash64("text").alias("_t"), F.xxhash64("doc_id").alias("_h")).distinct().withColumn("_lane", F.pmod("_h", F.lit(LANES)))
+    order = Window.partitionBy("lang", "_lane").orderBy("_h", "doc_id", "_t")
+    key = ["doc_id", "lang", "_t"]
+    chosen = hashed.withColumn("_r", F.row_number().over(order)).where(F.col("_r") <= -(-per_lang // LANES)).select(key)  # LANGUAGES x (per_lang + LANES) rows at most
+    sample = rows.withColumn("_t", F.xxhash64("text")).join(F.broadcast(chosen), key).groupBy(key).agg(F.min("text").alias("text")).select("lang", "text")
 
     def vectors(langs, texts):
         kept = [(x, t) for x, t in zip(langs, texts, strict=True) if has_letter(t)]
@@ -146,7 +152,7 @@ def train(docs: DataFrame, learn: Column, per_lang: int = 300, clusters: int = 3
         by.setdefault(lang, []).append(bytes(v))
     centroids, langs, least = [], [], []
     for lang in sorted(by):
-        x = np.stack([np.frombuffer(v, dtype="<f2") for v in sorted(by[lang])[: 2 * per_lang]]).astype(np.float32)
+        x = np.stack([np.frombuffer(v, dtype="<f2") for v in sorted(by[lang])]).astype(np.float32)
         x /= np.linalg.norm(x, axis=1, keepdims=True)
         c, cos = _clusters(x, clusters)
         own = cos.argmax(axis=1)

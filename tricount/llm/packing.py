@@ -1,6 +1,8 @@
 """Minimum-bin-slack packing of tokenised documents into sequences of fixed length.
 
-Per bin, a bitset over the lengths still available tells which fills are reachable; the fullest one is taken. A
+Per bin, a bitset over the lengths still available tells which fills are reachable; the fullest one is taken. Each bin
+starts with the longest length left (the usual form of the heuristic): a plain fullest fill uses up short lengths early and
+leaves long ones to bins of their own, and needs no fewer bins (tests/llm compares both). A
 combination stays the fullest while its lengths last, so it is repeated until one of them runs out: the number of
 steps depends on the number of different lengths (at most the capacity), not on the number of documents.
 

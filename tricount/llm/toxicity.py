@@ -1,8 +1,9 @@
 """Toxic passages by maximum-scoring segments.
 
 Every token has a log-odds weight between toxic and other labelled texts, with an informative Dirichlet prior from
-both together. A token counts once a text, so that a few long texts don't decide; tokens whose log-odds are small or
-not significant are neutral, and a small drift makes neutral text fall.
+both together. A token counts once a text, so that a few long texts don't decide. A token that is too rare to be
+significant takes the weight of its longest significant stem (its first 6, 5 or 4 letters, counted alike); tokens
+without any are neutral, and a small drift makes neutral text fall.
 One linear scan of a text then finds all its maximal scoring segments: the toxic passages. Scores of the best segment
 of clean texts follow an extreme-value law in the number of tokens; it turns segment scores into expected numbers
 of such segments by chance, and a logistic curve fitted on labelled texts turns the evidence of all significant
@@ -31,6 +32,8 @@ from .common import WordTable, arrow_fold, arrow_map
 
 #: Hashed tokens; a power of two.
 BUCKETS = 1 << 20
+#: Letters of the stems that a rare token falls back on.
+STEMS = (6, 5, 4)
 #: Fall of the score at a neutral token.
 DRIFT = 0.05
 _TOKEN = re.compile(r"\w+")
@@ -44,7 +47,12 @@ def bucket(token: str) -> int:
     return crc32(token.encode("utf-8", "replace")) & (BUCKETS - 1)
 
 
-def log_odds(toxic: np.ndarray, other: np.ndarray, prior: float = 0.05, sure: float = 1.96, least: float = 1.0) -> np.ndarray:
+def buckets(token: str) -> list[int]:
+    """The buckets of a token and of its stems, the longest first."""
+    return [bucket(token), *(bucket("^" + token[:k]) for k in STEMS if len(token) > k)]
+
+
+def log_odds(toxic: np.ndarray, other: np.ndarray, prior: float = 0.1, sure: float = 1.96, least: float = 1.0) -> np.ndarray:
     """Log-odds of each token with a Dirichlet prior of ``prior`` times all tokens, spread as in both classes.
 
     What is returned is the bound towards zero, ``sure`` standard errors in; 0 where that falls below ``least``.
@@ -115,7 +123,7 @@ class ToxicModel:
     shift: float
 
     def word_table(self) -> WordTable:
-        return WordTable(lambda w: float(self.weights[bucket(w)]) - DRIFT)
+        return WordTable(lambda w: next((float(self.weights[b]) for b in buckets(w) if self.weights[b]), 0.0) - DRIFT)
 
     def found(self, text: str | None, table: WordTable | None = None) -> tuple[int, list[tuple[int, int, float]]]:
         """Number of tokens, and the segments in tokens."""
@@ -164,10 +172,14 @@ def logistic(x: np.ndarray, y: np.ndarray, rounds: int = 50) -> tuple[float, flo
 
 
 def labelled(docs: DataFrame, labels: DataFrame, label: str, learn, most: int) -> DataFrame:
-    """text and y of at most ``most`` labelled rows for which ``learn`` holds: those whose ids hash lowest."""
+    """doc_id, text and y of at most ``most`` labelled ids for which ``learn`` holds: those whose ids hash lowest.
+
+    One row an id, so ``most`` bounds the rows too: of texts that repeat an id, the one of the least digest.
+    """
     marks = labels.where(F.col(label).isNotNull() & F.col("doc_id").isNotNull()).groupBy("doc_id").agg(F.max(label).cast("int").alias("y"))
     chosen = marks.where(learn).orderBy(F.xxhash64("doc_id"), "doc_id").limit(most)
-    return docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id").select("doc_id", "text", "y")  # ``most`` rows at most
+    rows = docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id")  # ``most`` ids at most
+    return rows.groupBy("doc_id", "y").agg(F.min_by("text", F.xxhash64("text")).alias("text")).select("doc_id", "text", "y")
 
 
 def train(docs: DataFrame, labels: DataFrame, learn, most: int = 40_000) -> ToxicModel:
@@ -175,12 +187,12 @@ def train(docs: DataFrame, labels: DataFrame, learn, most: int = 40_000) -> Toxi
     sample = labelled(docs, labels, "toxic", learn, most)
 
     def start():
-        return {"n": np.zeros((2, BUCKETS), dtype=np.int64), "words": WordTable(bucket)}
+        return {"n": np.zeros((2, BUCKETS), dtype=np.int64), "words": WordTable(buckets)}
 
     def add(state, texts, ys):
         for t, y in zip(texts, ys, strict=True):
             state["words"].trim()
-            at = np.fromiter(set(map(state["words"].__getitem__, tokens(t))), dtype=np.int64)
+            at = np.fromiter({b for w in set(tokens(t)) for b in state["words"][w]}, dtype=np.int64)
             state["n"][int(y > 0), at] += 1
 
     def end(state):
