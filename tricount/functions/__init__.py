@@ -11,13 +11,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from ..operators.exchange import Owned, messages
-
-
-@F.udf(T.BooleanType())
-def below(d1, i1, d2, i2):
-    """Degree order with ties by id, a row at a time; plans use the struct comparison instead."""
-    return (d1, i1) < (d2, i2)
+from ..operators.exchange import Owned, common_entries, messages
 
 
 @F.pandas_udf(T.LongType())
@@ -64,17 +58,22 @@ def register(spark: SparkSession) -> None:
 
 
 def receive_cogrouped(owned: Owned) -> DataFrame:
-    """The surrogate receiver with one block in memory at a time: messages and owned lists of a block meet in one call."""
+    """The surrogate receiver as a co-grouped function: messages and owned lists of a block meet in one call, as arrays."""
     sent = messages(owned).select(F.col("dest").alias("part"), "nbrs")
     own = owned.nodes.where("eff > 0").select("part", "id", "nbrs")
 
+    def lists(column: pa.ChunkedArray) -> tuple[np.ndarray, np.ndarray]:
+        c = column.combine_chunks()
+        c = c.chunk(0) if isinstance(c, pa.ChunkedArray) else c
+        off = c.offsets.to_numpy().astype(np.int64)
+        return off - off[0], c.values.to_numpy(zero_copy_only=False)[off[0] : off[-1]]
+
     def block(left: pa.Table, right: pa.Table) -> pa.Table:
-        lists = dict(zip(right.column("id").to_pylist(), (np.asarray(x) for x in right.column("nbrs").to_pylist()), strict=True))
-        total = 0
-        for row in left.column("nbrs").to_pylist():
-            x = np.asarray(row)
-            total += sum(len(np.intersect1d(x, lists[u], assume_unique=True)) for u in row if u in lists)
         part = (left if left.num_rows else right).column("part")[0].as_py()
+        total = 0
+        if left.num_rows and right.num_rows:
+            right = right.sort_by("id")
+            total = common_entries(right.column("id").to_numpy(), *lists(right.column("nbrs")), *lists(left.column("nbrs")))
         return pa.table({"part": pa.array([part], pa.int32()), "triangles": pa.array([total], pa.int64())})
 
     return sent.groupBy("part").cogroup(own.groupBy("part")).applyInArrow(block, "part int, triangles long")

@@ -5,24 +5,34 @@ counted there. For an edge that crosses, either u's list comes to v's block (dir
 block; scan: once per block, then every list of the block is searched for u), or v's list goes once to each block that
 owns some of its entries, whose owner does the intersections (surrogate). A shuffled row is a message; the end of the stage
 takes the place of completion notices.
+
+A node's row holds the blocks of its entries beside them, so the surrogate's messages are made without a join, and each
+crosses the network once, as one list. It is opened only where it arrives: the lists of a block come first and are held as
+two arrays, the messages stream past them in Arrow batches. A block has to fit a task; more blocks make them smaller.
 """
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql.window import Window
 
 from ..session import cut
 from .blocks import assign
 from .cost import node_cost
-from .orient import adjacency, orient
+from .orient import degrees, orient
+
+#: Entries of lists that are looked up at once in the lists of messages.
+CHUNK = 1 << 20
 
 SCHEMES = ("direct", "cached", "scan", "surrogate")
 
 
 class Owned:
-    """A network cut into blocks: ``nodes`` (id, deg, eff, nbrs, part) and ``arcs`` (v, u, pv, pu)."""
+    """A network cut into blocks: ``nodes`` (id, deg, eff, nbrs, blocks of the nbrs, part) and ``arcs`` (v, u, pv, pu)."""
 
     def __init__(self, nodes: DataFrame, arcs: DataFrame, parts: int):
         self.nodes, self.arcs, self.parts = nodes, arcs, parts
@@ -34,11 +44,14 @@ class Owned:
 def build(edges: DataFrame, parts: int, cost: str = "surrogate", order: str = "degree") -> Owned:
     """Cut by the cost into ``parts`` blocks. Owners, lists and arcs are written once, as every scheme reads them several times."""
     owner = cut(assign(node_cost(edges, cost, order), parts).select("id", "part"))
-    nodes = cut(adjacency(edges, order).join(owner, "id"))
     a = owner.select(F.col("id").alias("v"), F.col("part").alias("pv"))
     b = owner.select(F.col("id").alias("u"), F.col("part").alias("pu"))
-    arcs = orient(edges, order).select(F.col("src").alias("v"), F.col("dst").alias("u")).join(a, "v").join(b, "u").select("v", "u", "pv", "pu")
-    return Owned(nodes, cut(arcs), parts)
+    arcs = cut(orient(edges, order).select(F.col("src").alias("v"), F.col("dst").alias("u")).join(a, "v").join(b, "u").select("v", "u", "pv", "pu"))
+    entries = arcs.groupBy(F.col("v").alias("id")).agg(F.sort_array(F.collect_list(F.struct("u", "pu"))).alias("x"))
+    full = degrees(edges).join(owner, "id").join(entries, "id", "left")
+    nbrs = F.coalesce(F.col("x")["u"], F.array().cast("array<bigint>"))
+    nodes = full.select("id", "deg", F.size(nbrs).cast("long").alias("eff"), nbrs.alias("nbrs"), F.coalesce(F.col("x")["pu"], F.array().cast("array<int>")).alias("blocks"), "part")
+    return Owned(cut(nodes), arcs, parts)
 
 
 def sizes(owned: Owned) -> DataFrame:
@@ -50,41 +63,138 @@ def sizes(owned: Owned) -> DataFrame:
 
 
 def messages(owned: Owned, dedupe: str = "last") -> DataFrame:
-    """dest, src, nbrs of the surrogate scheme's data messages.
+    """dest, src, nbrs of the surrogate scheme's data messages, from the rows of the nodes alone.
 
     last: a list is sent when the block of an entry differs from that of the entry before it; enough as lists are sorted
     and blocks consecutive. set: the distinct blocks of the entries; the same rows. none: one message per crossing
     edge, which then carries that edge's u.
     """
-    cross = owned.arcs.where("pv <> pu")
+    crossing = owned.nodes.where("eff > 0")
     if dedupe == "none":
-        sent = cross.select(F.col("pu").alias("dest"), "v", "u")
-        return sent.join(owned.lists("v"), "v").select("dest", F.col("v").alias("src"), F.col("nv").alias("nbrs"), "u")
+        sent = crossing.select(F.col("id").alias("src"), "nbrs", "part", F.explode(F.arrays_zip("nbrs", "blocks")).alias("e")).where("e.blocks <> part")
+        return sent.select(F.col("e.blocks").alias("dest"), "src", "nbrs", F.col("e.nbrs").alias("u"))
     if dedupe == "set":
-        sent = cross.select(F.col("pu").alias("dest"), "v").distinct()
+        to = F.array_distinct("blocks")
     elif dedupe == "last":
-        line = Window.partitionBy("v").orderBy("u")
-        sent = owned.arcs.withColumn("last", F.lag("pu").over(line)).where("pu <> pv and (last is null or last <> pu)").select(F.col("pu").alias("dest"), "v")
+        to = F.filter("blocks", lambda x, i: (i == 0) | (x != F.element_at("blocks", F.greatest(i, F.lit(1)))))
     else:
         raise ValueError(f"no such guard: {dedupe}")
-    return sent.join(owned.lists("v"), "v").select("dest", F.col("v").alias("src"), F.col("nv").alias("nbrs"))
+    return crossing.select(F.explode(to).alias("dest"), F.col("id").alias("src"), "nbrs", "part").where("dest <> part").select("dest", "src", "nbrs")
 
 
 def _common(rows: DataFrame, part: str) -> DataFrame:
     return rows.groupBy(F.col(part).alias("part")).agg(F.sum(F.size(F.array_intersect("nv", "nu"))).alias("n"))
 
 
+def common_entries(ids: np.ndarray, offsets: np.ndarray, entries: np.ndarray, sent: np.ndarray, flat: np.ndarray) -> int:
+    """Common entries of each list that was sent (``flat`` from ``sent``) and the held lists (``entries`` from ``offsets``) of the ids it names.
+
+    All lists are sorted. At most about CHUNK entries are looked up at once.
+    """
+    if not len(flat) or not len(ids):
+        return 0
+    number = np.repeat(np.arange(len(sent) - 1), np.diff(sent))
+    place = np.minimum(np.searchsorted(ids, flat), len(ids) - 1)
+    own = ids[place] == flat
+    number, place = number[own], place[own]
+    keep = np.flatnonzero(offsets[place + 1] > offsets[place])
+    number, place = number[keep], place[keep]
+    if not len(place):
+        return 0
+    base = int(max(flat.max(), entries.max(initial=0))) + 1
+    if base * len(sent) >= 1 << 62:  # ids too large for joint keys: halve the messages
+        half = (len(sent) - 1) // 2
+        if not half:
+            raise ValueError("ids beyond 2^61")
+        at = int(sent[half])
+        return common_entries(ids, offsets, entries, sent[: half + 1], flat[:at]) + common_entries(ids, offsets, entries, sent[half:] - at, flat[at:])
+    keys = np.repeat(np.arange(len(sent) - 1) * base, np.diff(sent)) + flat
+    size = offsets[place + 1] - offsets[place]
+    ends = np.cumsum(size)
+    total, first = 0, 0
+    while first < len(place):
+        last = max(first + 1, int(np.searchsorted(ends, (ends[first - 1] if first else 0) + CHUNK, "right")))
+        n = size[first:last]
+        start = np.repeat(offsets[place[first:last]] - (np.cumsum(n) - n), n)
+        asked = entries[start + np.arange(int(n.sum()))] + np.repeat(number[first:last] * base, n)
+        at = np.minimum(np.searchsorted(keys, asked), len(keys) - 1)
+        total += int(np.count_nonzero(keys[at] == asked))
+        first = last
+    return total
+
+
+def _met(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Rows of blocks in order, a block's own lists (kind 0) before its messages (1): what is found inside and with messages."""
+    held: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
+    block = None
+    now, inside, outside = None, 0, 0
+
+    def closed():
+        """The block's lists as ids, offsets and entries; its inner triangles are counted on the way."""
+        ids = np.concatenate([h[0] for h in held]) if held else np.empty(0, dtype=np.int64)
+        entries = np.concatenate([h[2] for h in held]) if held else np.empty(0, dtype=np.int64)
+        offsets = np.concatenate([[0], np.cumsum(np.concatenate([h[1] for h in held]))]) if held else np.zeros(1, dtype=np.int64)
+        held.clear()
+        return ids, offsets, entries
+
+    def inner(block):
+        ids, offsets, entries = block
+        return sum(common_entries(ids, offsets, entries, offsets[a : a + 4097] - offsets[a], entries[offsets[a] : offsets[min(a + 4096, len(ids))]]) for a in range(0, len(ids), 4096))
+
+    def out():
+        return pa.RecordBatch.from_arrays([pa.array([now], pa.int32()), pa.array([inside], pa.int64()), pa.array([outside], pa.int64())], names=["part", "l", "r"])
+
+    for batch in batches:
+        dest, kind, src = (batch.column(k).to_numpy(zero_copy_only=False) for k in range(3))
+        offsets, flat = batch.column(3).offsets.to_numpy().astype(np.int64), batch.column(3).values.to_numpy(zero_copy_only=False)
+        edge = np.flatnonzero((dest[1:] != dest[:-1]) | (kind[1:] != kind[:-1])) + 1
+        for a, b in zip([0, *edge.tolist()], [*edge.tolist(), len(dest)], strict=True):
+            if a == b:
+                continue
+            if dest[a] != now:
+                if now is not None:
+                    block = block or closed()
+                    inside += inner(block)
+                    yield out()
+                now, inside, outside, block = int(dest[a]), 0, 0, None
+            part = flat[offsets[a] : offsets[b]]
+            if kind[a] == 0:
+                held.append((src[a:b].copy(), np.diff(offsets[a : b + 1]), part.copy()))
+            else:
+                block = block or closed()
+                outside += common_entries(*block, offsets[a : b + 1] - offsets[a], part)
+    if now is not None:
+        block = block or closed()
+        inside += inner(block)
+        yield out()
+
+
 def receive(owned: Owned, sent: DataFrame) -> DataFrame:
-    """part and the triangles that the owners of the blocks find in the lists they are sent: each opens a list only at its own ids."""
+    """part, l (triangles inside the block) and r (those that its owner finds in the lists it is sent).
+
+    One shuffle: every message moves once to the block that it is for, and so do the block's own lists.
+    """
+    own = owned.nodes.where("eff > 0").select(F.col("part").alias("dest"), F.lit(0).alias("kind"), F.col("id").alias("src"), "nbrs")
+    rows = own.unionByName(sent.select("dest", F.lit(1).alias("kind"), "src", "nbrs"))
+    return rows.repartitionById(owned.parts, "dest").sortWithinPartitions("dest", "kind", "src").mapInArrow(_met, "part int, l long, r long")
+
+
+def receive_unguarded(owned: Owned, sent: DataFrame) -> DataFrame:
+    """part and n for messages that each carry one edge's u: the list is met with u's alone."""
     own = owned.nodes.where("eff > 0").select(F.col("part").alias("dest"), F.col("id").alias("u"), F.col("nbrs").alias("nu"))
-    opened = sent if "u" in sent.columns else sent.withColumn("u", F.explode("nbrs"))
-    return _common(opened.withColumnRenamed("nbrs", "nv").join(own, ["dest", "u"]), "dest")
+    return _common(sent.withColumnRenamed("nbrs", "nv").join(own, ["dest", "u"]), "dest")
 
 
 def count(owned: Owned, scheme: str = "surrogate", dedupe: str = "last") -> DataFrame:
     """part, local_triangles, remote_triangles, triangles. Crossing edges count for v's block, with surrogate for u's."""
-    local = _common(owned.arcs.where("pv = pu").join(owned.lists("v"), "v").join(owned.lists("u"), "u"), "pv")
     cross = owned.arcs.where("pv <> pu")
+    zero = F.lit(0).cast("long")
+    parts = owned.nodes.select("part").distinct()
+    if scheme == "surrogate" and dedupe != "none":
+        both = receive(owned, messages(owned, dedupe))
+        found = parts.join(both, "part", "left").select("part", F.coalesce("l", zero).alias("l"), F.coalesce("r", zero).alias("r"))
+        return found.select("part", F.col("l").alias("local_triangles"), F.col("r").alias("remote_triangles"), (F.col("l") + F.col("r")).alias("triangles"))
+    local = _common(owned.arcs.where("pv = pu").join(owned.lists("v"), "v").join(owned.lists("u"), "u"), "pv")
     if scheme == "direct":
         replies = cross.join(owned.lists("u"), "u")  # request to u's owner, reply to v's
         remote = _common(replies.join(owned.lists("v"), "v"), "pv")
@@ -96,11 +206,9 @@ def count(owned: Owned, scheme: str = "surrogate", dedupe: str = "last") -> Data
         held = owned.nodes.where("eff > 0").select(F.col("part").alias("pv"), F.col("nbrs").alias("nv"))
         remote = _common(fetched.join(held, "pv").where(F.array_contains("nv", F.col("u"))), "pv")
     elif scheme == "surrogate":
-        remote = receive(owned, messages(owned, dedupe))
+        remote = receive_unguarded(owned, messages(owned, dedupe))
     else:
         raise ValueError(f"no such scheme: {scheme}")
-    parts = owned.nodes.select("part").distinct()
-    zero = F.lit(0).cast("long")
     found = parts.join(local.withColumnRenamed("n", "l"), "part", "left").join(remote.withColumnRenamed("n", "r"), "part", "left")
     return found.select("part", F.coalesce("l", zero).alias("local_triangles"), F.coalesce("r", zero).alias("remote_triangles"), (F.coalesce("l", zero) + F.coalesce("r", zero)).alias("triangles"))
 
@@ -129,6 +237,11 @@ def traffic(owned: Owned, by_part: bool = False) -> DataFrame:
     return added(asked(cross), "direct").unionByName(added(asked(once), "cached")).unionByName(added(asked(once), "scan")).unionByName(added(ship, "surrogate"))
 
 
+def completions(spark: SparkSession, parts: int) -> DataFrame:
+    """part, messages: the notices of completion, one from each block to each other one. A shuffle stage ends without them."""
+    return spark.range(parts).select(F.col("id").cast("int").alias("part"), F.lit(parts - 1).cast("long").alias("messages"))
+
+
 def choose(owned: Owned) -> DataFrame:
     """The scheme with the fewest elements among those that hold no more than a block (direct, surrogate), and among all."""
     rows = traffic(owned).where("scheme <> 'scan'")

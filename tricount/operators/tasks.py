@@ -37,7 +37,8 @@ class Costs:
 
 
 def collected(cost: DataFrame, units: int = UNITS) -> Costs:
-    n = (cost.agg(F.max("id")).collect()[0][0] or -1) + 1
+    top = cost.agg(F.max("id")).collect()[0][0]
+    n = 0 if top is None else top + 1
     step = max(1, -(-n // units))
     sums = dict(cost.groupBy(F.expr(f"id div {step}").alias("u")).agg(F.sum(F.col("f").cast("decimal(38,0)"))).collect())  # at most ``units`` rows
     upto = [0]
