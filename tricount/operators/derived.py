@@ -78,7 +78,7 @@ def connected_components(links: DataFrame, rounds: int = 100) -> DataFrame:
         low = now.join(heard, "node").select("node", F.least("component", "m").alias("component"))
         jump = low.select(F.col("node").alias("component"), F.col("component").alias("further"))
         now = cut(low.join(jump, "component", "left").select("node", F.coalesce("further", "component").alias("component")))
-        seen = now.agg(F.sum(F.col("component").cast("decimal(38,0)"))).collect()[0][0]
+        seen = now.agg(F.sum(F.xxhash64("component").cast("decimal(38,0)"))).collect()[0][0]
         if seen == last:
             return now
         last = seen
@@ -86,16 +86,17 @@ def connected_components(links: DataFrame, rounds: int = 100) -> DataFrame:
 
 
 def triangle_components(edges: DataFrame) -> DataFrame:
-    """component, triangles, nodes: triangles joined by shared edges; a component is named by its smallest edge's number."""
-    sides = _sides(list_triangles(edges))
-    name = lambda x, y: F.least(x, y) * F.lit(1 << 31) + F.greatest(x, y)
+    """src, dst, triangles, nodes: triangles joined by shared edges; a component is named by its smallest edge."""
+    found = cut(list_triangles(edges))
+    sides = _sides(found)
+    name = lambda x, y: F.struct(F.least(x, y).alias("src"), F.greatest(x, y).alias("dst"))
     first, second, third = name("a", "b"), name("b", "c"), name("a", "c")
-    links = list_triangles(edges).select(F.explode(F.array(F.struct(first.alias("a"), second.alias("b")), F.struct(second.alias("a"), third.alias("b")))).alias("l")).select("l.a", "l.b")
+    links = found.select(F.explode(F.array(F.struct(first.alias("a"), second.alias("b")), F.struct(second.alias("a"), third.alias("b")))).alias("l")).select("l.a", "l.b")
     group = connected_components(links)
     of = sides.select("a", "b", "c", name("src", "dst").alias("node")).join(group, "node")
     each = of.groupBy("component").agg(F.countDistinct("a", "b", "c").alias("triangles"))
     nodes = of.select("component", F.explode(F.array("a", "b", "c")).alias("id")).distinct().groupBy("component").agg(F.count(F.lit(1)).alias("nodes"))
-    return each.join(nodes, "component").select("component", "triangles", "nodes")
+    return each.join(nodes, "component").select("component.src", "component.dst", "triangles", "nodes")
 
 
 def closure_candidates(edges: DataFrame) -> DataFrame:

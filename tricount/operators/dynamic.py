@@ -9,12 +9,16 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..session import cut
 from . import tasks
 from .cost import node_cost
+from .exchange import common_entries
 from .orient import orient
 
 #: Arcs up to which the network is replicated (8 bytes each, and 8 for each node); beyond, the same tasks run over a shuffle.
 REPLICATE = 20_000_000
+#: Nodes of a task whose lists are looked at together.
+NODES = 1024
 
 
 def replicate(arcs: DataFrame, n: int):
@@ -28,16 +32,12 @@ def replicate(arcs: DataFrame, n: int):
 
 
 def count_range(offsets: np.ndarray, targets: np.ndarray, v: int, t: int) -> int:
-    """Triangles of the task of t ids from v: each of its nodes against each of its higher neighbours."""
+    """Triangles of the task of t ids from v: the lists of its nodes against those of their higher neighbours, so many nodes at once."""
+    ids = np.arange(len(offsets) - 1)
     total = 0
-    for a in range(v, v + t):
-        own = targets[offsets[a] : offsets[a + 1]]
-        if len(own) > 1:
-            for u in own:
-                other = targets[offsets[u] : offsets[u + 1]]
-                if len(other):
-                    at = np.searchsorted(own, other)
-                    total += int(np.count_nonzero(own[np.minimum(at, len(own) - 1)] == other))
+    for a in range(v, min(v + t, len(ids)), NODES):
+        b = min(a + NODES, v + t, len(ids))
+        total += common_entries(ids, offsets, targets, offsets[a : b + 1] - offsets[a], targets[offsets[a] : offsets[b]])
     return total
 
 
@@ -66,13 +66,12 @@ def count(edges: DataFrame, processors: int, cost: str = "degree", granularity:
 
 
 def _shuffled(edges: DataFrame, arcs: DataFrame, table: DataFrame) -> DataFrame:
-    """The same tasks without replication: each oriented list gets the task whose range holds its id."""
+    """The same tasks without replication: counts are summed by node first, then by the task whose range holds the node."""
     from .exact import paired_lists
 
-    spans = [(r.v, r.seq) for r in table.select("v", "seq").collect()]
-    starts = F.array(*(F.lit(v).cast("long") for v, _ in spans))
-    at = F.size(F.filter(starts, lambda s: s <= F.col("v"))) - 1
-    found = paired_lists(edges).select(at.cast("int").alias("seq"), F.size(F.array_intersect("nv", "nu")).alias("n")).groupBy("seq").agg(F.sum("n").alias("n"))
+    each = paired_lists(edges).groupBy(F.col("v")).agg(F.sum(F.size(F.array_intersect("nv", "nu"))).alias("n"))
+    spans = table.select("seq", F.col("v").alias("low"), (F.col("v") + F.col("t") - 1).alias("high"))  # a few rows for each worker
+    found = each.join(F.broadcast(spans), F.col("v").between(F.col("low"), F.col("high"))).groupBy("seq").agg(F.sum("n").alias("n"))
     return table.select("seq", "v", "t").join(found, "seq", "left").select("seq", "v", "t", F.coalesce("n", F.lit(0).cast("long")).alias("triangles"))
 
 
@@ -93,3 +92,23 @@ def replay(edges: DataFrame, processors: int, cost: str = "degree", granularity:
     end = max((x[3] for x in log), default=0)
     rows = [(k, sum(x[1] == k for x in log), end - idle[k], idle[k]) for k in range(processors - 1)]
     return edges.sparkSession.createDataFrame(rows, "worker int, tasks int, busy long, idle long")
+
+
+def sweep(edges: DataFrame, processors: list[int], costs: tuple[str, ...] = ("unit", "degree"), granularities: tuple[str, ...] = ("static", "shrinking")) -> DataFrame:
+    """cost, granularity, processors, tasks, makespan, idle, speedup of the replayed method, for every combination.
+
+    idle is summed over the workers; speedup is the whole work over the makespan. One pass over the network for each
+    cost: what reaches the driver are sums over at most ``tasks.UNITS`` units.
+    """
+    arcs = cut(orient(edges))
+    done = tasks.collected(node_cost(edges, "owner", arcs=arcs))
+    rows = []
+    for cost in costs:
+        c = tasks.collected(node_cost(edges, cost, arcs=arcs))
+        for p in processors:
+            for kind in granularities:
+                planned = tasks.plan(c, p, kind)
+                log, idle = tasks.replay([done.size(a, b) for _, a, b in planned], p - 1, sum(x[0] == "initial" for x in planned))
+                end = max((x[3] for x in log), default=0)
+                rows.append((cost, kind, p, len(planned), end, sum(idle), round(done.upto[-1] / end, 4) if end else 0.0))
+    return edges.sparkSession.createDataFrame(rows, "cost string, granularity string, processors int, tasks int, makespan long, idle long, speedup double")

@@ -43,10 +43,11 @@ class Owned:
 
 def build(edges: DataFrame, parts: int, cost: str = "surrogate", order: str = "degree") -> Owned:
     """Cut by the cost into ``parts`` blocks. Owners, lists and arcs are written once, as every scheme reads them several times."""
-    owner = cut(assign(node_cost(edges, cost, order), parts).select("id", "part"))
+    oriented = cut(orient(edges, order))
+    owner = cut(assign(node_cost(edges, cost, order, arcs=oriented), parts).select("id", "part"))
     a = owner.select(F.col("id").alias("v"), F.col("part").alias("pv"))
     b = owner.select(F.col("id").alias("u"), F.col("part").alias("pu"))
-    arcs = cut(orient(edges, order).select(F.col("src").alias("v"), F.col("dst").alias("u")).join(a, "v").join(b, "u").select("v", "u", "pv", "pu"))
+    arcs = cut(oriented.select(F.col("src").alias("v"), F.col("dst").alias("u")).join(a, "v").join(b, "u").select("v", "u", "pv", "pu"))
     entries = arcs.groupBy(F.col("v").alias("id")).agg(F.sort_array(F.collect_list(F.struct("u", "pu"))).alias("x"))
     full = degrees(edges).join(owner, "id").join(entries, "id", "left")
     nbrs = F.coalesce(F.col("x")["u"], F.array().cast("array<bigint>"))

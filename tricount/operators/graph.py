@@ -6,7 +6,9 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-#: Integer keys are numbered in chunks of so many consecutive values.
+from ..session import cut
+
+#: Consecutive ids that prefix sums take together.
 CHUNK = 1 << 16
 
 
@@ -26,36 +28,30 @@ def endpoints(edges: DataFrame, name: str = "id") -> DataFrame:
     return edges.select(F.explode(F.array("src", "dst")).alias(name)).distinct()
 
 
-def chunk_of(df: DataFrame, key: str, prefix: int = 3) -> Column:
-    """A coarse key that keeps the order of ``key``: a quotient for numbers, a prefix for text."""
-    kind = df.schema[key].dataType.typeName()
-    return F.substring(key, 1, prefix) if kind == "string" else F.expr(f"`{key}` div {CHUNK}")
-
-
-def number(keys: DataFrame, key: str, into: str = "id", prefix: int = 3) -> DataFrame:
-    """``keys`` (distinct) with dense numbers from 0 in the order of ``key``.
+def number(keys: DataFrame, order: list[str], into: str = "id") -> DataFrame:
+    """``keys`` (rows distinct in ``order``) with dense numbers from 0 in that order.
 
-    Ranks are taken inside chunks and shifted by the sizes of the chunks before; only the table of chunk sizes, which
-    is small, is ordered as a whole.
+    Rows are range-partitioned by sampled bounds, which keeps partitions even whatever the keys, and written once; ranks inside a
+    partition are shifted by the sizes of the partitions before. Only the table of these sizes is ordered as a whole.
     """
-    chunked = keys.withColumn("_chunk", chunk_of(keys, key, prefix))
+    n = max(1, int(keys.sparkSession.conf.get("spark.sql.shuffle.partitions")))
+    dealt = cut(keys.repartitionByRange(n, *order).withColumn("_chunk", F.spark_partition_id()))
     before = Window.orderBy("_chunk").rowsBetween(Window.unboundedPreceding, -1)
-    starts = chunked.groupBy("_chunk").agg(F.count(F.lit(1)).alias("_n")).select("_chunk", F.coalesce(F.sum("_n").over(before), F.lit(0)).alias("_start"))
-    rank = F.row_number().over(Window.partitionBy("_chunk").orderBy(key)) - 1
-    return chunked.withColumn("_rank", rank).join(starts, "_chunk").withColumn(into, (F.col("_start") + F.col("_rank")).cast("long")).drop("_chunk", "_rank", "_start")
+    starts = dealt.groupBy("_chunk").agg(F.count(F.lit(1)).alias("_n")).select("_chunk", F.coalesce(F.sum("_n").over(before), F.lit(0)).alias("_start"))
+    rank = F.row_number().over(Window.partitionBy("_chunk").orderBy(*order)) - 1
+    return dealt.withColumn("_rank", rank).join(F.broadcast(starts), "_chunk").withColumn(into, (F.col("_start") + F.col("_rank")).cast("long")).drop("_chunk", "_rank", "_start")
 
 
-def relabel(edges: DataFrame, how: str = "natural", prefix: int = 3, seed: int = 42) -> DataFrame:
+def relabel(edges: DataFrame, how: str = "natural", seed: int = 42) -> DataFrame:
     """Canonical edges over dense ids; how: natural (by key), hashed (by a hash of the key) or degree (by degree, then key)."""
+    edges = cut(edges)
     keys = endpoints(edges, "key")
     if how == "natural":
-        named = number(keys, "key", prefix=prefix)
+        named = number(keys, ["key"])
     elif how == "hashed":
-        placed = keys.withColumn("h", mix(F.xxhash64("key").bitwiseAND(F.lit((1 << 31) - 1)), seed))
-        named = number(placed.withColumn("o", F.concat_ws(" ", F.lpad("h", 10, "0"), F.col("key").cast("string"))), "o", prefix=5).drop("h", "o")
+        named = number(keys.withColumn("h", mix(F.xxhash64("key").bitwiseAND(F.lit((1 << 31) - 1)), seed)), ["h", "key"]).drop("h")
     elif how == "degree":
-        deg = both_ways(edges).groupBy(F.col("src").alias("key")).count()
-        named = number(deg.withColumn("o", F.concat_ws(" ", F.lpad("count", 19, "0"), F.lpad(F.col("key").cast("string"), 20, "0"))), "o", prefix=19).drop("count", "o")
+        named = number(both_ways(edges).groupBy(F.col("src").alias("key")).agg(F.count(F.lit(1)).alias("n")), ["n", "key"]).drop("n")
     else:
         raise ValueError(f"no such labelling: {how}")
     a, b = named.select(F.col("key").alias("src"), F.col("id").alias("_a")), named.select(F.col("key").alias("dst"), F.col("id").alias("_b"))

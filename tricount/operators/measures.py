@@ -5,13 +5,14 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..session import cut as stored
 from . import overlap
-from .blocks import assign
+from .blocks import assign, prefix
 from .cost import arc_costs, node_cost
 from .exchange import Owned, build, sizes
 from .graph import both_ways
 from .mapreduce import triple_copies
-from .orient import degrees, orient
+from .orient import degrees, node_table, orient
 
 #: Bytes of a node or a list entry in the model of memory.
 BYTES = 8
@@ -78,6 +79,83 @@ def intermediate_rows(edges: DataFrame, rho: int = 4) -> DataFrame:
 
 
 def complexity_terms(owned: Owned) -> DataFrame:
-    """Largest block (nodes and arcs), largest degree, and the largest work of a block."""
+    """Largest block (nodes and arcs), largest degree and list, and the largest work of a block: what its intersections and its messages take."""
+    eff = owned.nodes.select("id", "eff")
+    arcs = owned.arcs.join(eff.withColumnRenamed("id", "v").withColumnRenamed("eff", "ev"), "v").join(eff.withColumnRenamed("id", "u").withColumnRenamed("eff", "eu"), "u")
+    done = arcs.groupBy(F.col("pu").alias("part")).agg(F.sum(F.col("ev") + F.col("eu")).alias("w"))
+    sent = arcs.where("pv <> pu").select("v", "pv", "pu", "ev").distinct().groupBy(F.col("pv").alias("part")).agg(F.sum("ev").alias("w"))
+    work = done.unionByName(sent).groupBy("part").agg(F.sum("w").alias("w")).agg(F.max("w").alias("work"))
     top = sizes(owned).agg(F.max(F.col("v_count") + F.col("e_count")).alias("block"))
-    return top.join(F.broadcast(owned.nodes.agg(F.max("deg").alias("d_max"), F.max("eff").alias("eff_max"))))
+    return top.join(F.broadcast(owned.nodes.agg(F.max("deg").alias("d_max"), F.max("eff").alias("eff_max")))).join(F.broadcast(work))
+
+
+# Sweeps over the number of blocks: one pass over the arcs for all numbers ----------------------------------------------
+
+
+def _owners(cost: DataFrame, parts: list[int]) -> DataFrame:
+    """parts, id, part: the block of each id for each number of blocks, by the rule of ``blocks.assign``."""
+    run = prefix(cost)
+    n = run.agg(F.count(F.lit(1)).alias("_n"))
+    middle = F.expr("cast(((before + upto) * parts) div (2 * total) as int)")
+    plain = F.expr("cast((id * parts) div _n as int)")
+    spread = run.join(F.broadcast(n)).select("id", "before", "upto", "total", "_n", F.explode(F.array(*map(F.lit, parts))).alias("parts"))
+    return spread.select("parts", "id", F.least(F.col("parts") - 1, F.when(F.col("total") > 0, middle).otherwise(plain)).alias("part"))
+
+
+def placed(edges: DataFrame, parts: list[int], cut: str, arcs: DataFrame | None = None) -> DataFrame:
+    """parts, v, u, pv, pu, ev, eu of each arc for each number of blocks."""
+    arcs = stored(orient(edges)) if arcs is None else arcs
+    eff = node_table(edges, arcs=arcs).select("id", "eff")
+    owner = stored(_owners(node_cost(edges, cut, arcs=arcs), parts))
+    lo = owner.select("parts", F.col("id").alias("v"), F.col("part").alias("pv"))
+    hi = owner.select("parts", F.col("id").alias("u"), F.col("part").alias("pu"))
+    both = arcs.select(F.col("src").alias("v"), F.col("dst").alias("u")).join(eff.select(F.col("id").alias("v"), F.col("eff").alias("ev")), "v").join(eff.select(F.col("id").alias("u"), F.col("eff").alias("eu")), "u")
+    return both.join(lo, "v").join(hi, ["parts", "u"]).select("parts", "v", "u", "pv", "pu", "ev", "eu")
+
+
+def scheme_speedup(edges: DataFrame, parts: list[int]) -> DataFrame:
+    """scheme, parts, most, speedup of the direct, surrogate and overlapping methods, modelled.
+
+    A block's time is the work of its intersections and, for each message that it sends or gets, one and the entries
+    carried. direct asks and is answered once per crossing edge; surrogate ships a list once per block; overlapping
+    sends nothing and is cut by its own cost. Speedup is the whole work over the largest time.
+    """
+    arcs = stored(orient(edges))
+    mine, theirs = stored(placed(edges, parts, "surrogate", arcs)), placed(edges, parts, "owner", arcs)
+    work = F.col("ev") + F.col("eu")
+    cross = mine.where("pv <> pu")
+    once = cross.select("parts", "v", "pv", "pu", "ev").distinct()
+    x = F.lit(1).cast("long")
+
+    def rows(df: DataFrame, scheme: str, part: str, t) -> DataFrame:
+        return df.select(F.lit(scheme).alias("scheme"), "parts", F.col(part).alias("part"), t.alias("t"))
+
+    each = rows(mine, "direct", "pv", work)
+    for more in (
+        rows(cross, "direct", "pv", 2 * x + F.col("eu")), rows(cross, "direct", "pu", 2 * x + F.col("eu")),
+        rows(mine, "surrogate", "pu", work), rows(once, "surrogate", "pv", x + F.col("ev")), rows(once, "surrogate", "pu", x + F.col("ev")),
+        rows(theirs, "overlapping", "pv", work),
+    ):
+        each = each.unionByName(more)
+    total = arcs.select(F.lit(1).alias("one")).limit(1).join(F.broadcast(mine.where(F.col("parts") == parts[0]).agg(F.sum(work).alias("total")))).select("total")
+    most = each.groupBy("scheme", "parts", "part").agg(F.sum("t").alias("t")).groupBy("scheme", "parts").agg(F.max("t").alias("most"))
+    return most.join(F.broadcast(total)).select("scheme", "parts", "most", F.round(F.col("total") / F.col("most"), 4).alias("speedup"))
+
+
+def memory(edges: DataFrame, parts: list[int]) -> DataFrame:
+    """parts, nonoverlap, overlapping, ratio: bytes of the largest block of both methods, each under its own cuts."""
+    arcs = stored(orient(edges))
+    eff = node_table(edges, arcs=arcs).select("id", "eff")
+
+    def blocks(cut: str) -> tuple[DataFrame, DataFrame]:
+        """(parts, part, id) known to each block, and the same of the arcs that leave its own nodes."""
+        owner = stored(_owners(node_cost(edges, cut, arcs=arcs), parts))
+        leaving = owner.join(arcs.withColumnRenamed("src", "id"), "id")
+        return owner.unionByName(leaving.select("parts", F.col("dst").alias("id"), "part")).distinct(), leaving
+
+    known, leaving = blocks("surrogate")
+    count = lambda df, name: df.groupBy("parts", "part").agg(F.count(F.lit(1)).alias(name))
+    mine = count(known, "v").join(count(leaving, "e"), ["parts", "part"], "left").groupBy("parts").agg(F.max((F.col("v") + F.coalesce("e", F.lit(0))) * BYTES).alias("nonoverlap"))
+    held, _ = blocks("owner")
+    theirs = held.join(eff, "id").groupBy("parts", "part").agg(((F.count(F.lit(1)) + F.sum("eff")) * BYTES).alias("b")).groupBy("parts").agg(F.max("b").alias("overlapping"))
+    return mine.join(theirs, "parts").select("parts", "nonoverlap", "overlapping", F.round(F.col("overlapping") / F.col("nonoverlap"), 4).alias("ratio"))

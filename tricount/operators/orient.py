@@ -55,7 +55,8 @@ def adjacency(edges: DataFrame, order: str = "degree") -> DataFrame:
     return full.select("id", "deg", F.size(nbrs).cast("long").alias("eff"), nbrs.alias("nbrs"))
 
 
-def node_table(edges: DataFrame, order: str = "degree") -> DataFrame:
-    """id, deg, eff: degrees and effective degrees (entries of the oriented list)."""
-    eff = orient(edges, order).groupBy(F.col("src").alias("id")).agg(F.count(F.lit(1)).alias("eff"))
+def node_table(edges: DataFrame, order: str = "degree", arcs: DataFrame | None = None) -> DataFrame:
+    """id, deg, eff: degrees and effective degrees (entries of the oriented list). ``arcs``: those of ``orient``, if they are at hand."""
+    arcs = orient(edges, order) if arcs is None else arcs
+    eff = arcs.groupBy(F.col("src").alias("id")).agg(F.count(F.lit(1)).alias("eff"))
     return degrees(edges).join(eff, "id", "left").select("id", "deg", F.coalesce("eff", F.lit(0).cast("long")).alias("eff"))

@@ -89,7 +89,7 @@ def link(spark: SparkSession, folder: str) -> DataFrame:
     """Pages and the targets of their links."""
     pages = table(spark, folder, "pages")
     hrefs = pages.select(F.concat(F.lit("page:"), "page_id").alias("src"), F.explode(F.regexp_extract_all("html", F.lit('href="([^"]*)"'), F.lit(1))).alias("t"))
-    return relabel(canonicalize(hrefs.select("src", F.concat(F.lit("href:"), "t").alias("dst"))), prefix=8)
+    return relabel(canonicalize(hrefs.select("src", F.concat(F.lit("href:"), "t").alias("dst"))))
 
 
 def doc(spark: SparkSession, folder: str, low: int = 2, high: int = 50) -> DataFrame:

@@ -85,7 +85,7 @@ def blocks(parts: int, of: str = "cost", name: str = "owner") -> str:
 
 
 PLACED = """, placed AS MATERIALIZED (SELECT arcs.src AS v, arcs.dst AS u, x.part AS pv, y.part AS pu, ex.eff AS ev, ey.eff AS eu FROM arcs JOIN owner x ON x.id = arcs.src JOIN owner y ON y.id = arcs.dst JOIN eff ex ON ex.id = arcs.src JOIN eff ey ON ey.id = arcs.dst)"""
-OVERLAP = """, core AS (SELECT part, id, id AS via FROM owner), named_in AS (SELECT DISTINCT x.part, arcs.dst AS id FROM arcs JOIN owner x ON x.id = arcs.src),
+OVERLAP = """, core AS MATERIALIZED (SELECT part, id, id AS via FROM owner), named_in AS MATERIALIZED (SELECT DISTINCT x.part, arcs.dst AS id FROM arcs JOIN owner x ON x.id = arcs.src),
       inblock AS MATERIALIZED (SELECT part, id FROM core UNION SELECT part, id FROM named_in)"""
 
 

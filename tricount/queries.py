@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 
 from . import functions, plans, streaming
 from . import oracles as o
+from .experiments import EXPERIMENTS
 from .operators import approx, blocks, cost, derived, dynamic, exact, exchange, generators, graph, mapreduce, measures, orient, overlap, tasks, workloads
 from .operators.relational import OPS
 from .session import cut as cut_lineage
@@ -115,13 +116,11 @@ for _k in ("static", "equal", "shrinking"):
         f"tasks_{_k}_part", on("part", lambda e, k=_k: longs(tasks.table(e.sparkSession, cost.node_cost(e, "degree"), 17, k), "size")),
         o.graph("part") + o.arcs() + o.cost("degree") + o.tasks(17, _k) + " SELECT CAST(seq AS INTEGER) AS seq, phase, v, t, CAST(size AS BIGINT) AS size FROM tasks",
     )
-    add(f"replay_{_k}_part", on("part", lambda e, k=_k: dynamic.replay(e, 17, "degree", k)))
 add("tasks_initial_part", on("part", lambda e: longs(tasks.table(e.sparkSession, cost.node_cost(e, "degree"), 17).where("phase = 'initial'"), "size")), o.graph("part") + o.arcs() + o.cost("degree") + o.tasks(17, "shrinking") + " SELECT CAST(seq AS INTEGER) AS seq, phase, v, t, CAST(size AS BIGINT) AS size FROM tasks WHERE phase = 'initial'")
 for _g in ("part", "token"):
     _sql = o.graph(_g) + o.arcs() + o.TRIANGLES + o.cost("degree") + o.tasks(9, "shrinking") + " SELECT CAST(seq AS INTEGER) AS seq, v, t, coalesce(n, 0) AS triangles FROM tasks LEFT JOIN (SELECT seq AS s, count(*) AS n FROM tri JOIN tasks ON a BETWEEN v AND v + t - 1 GROUP BY 1) x ON s = seq"
     add(f"task_counts_{_g}", on(_g, lambda e: dynamic.count(e, 9)), _sql)
 add("task_counts_shuffle_part", on("part", lambda e: dynamic.count(e, 9, mode="shuffle")), ORACLES["task_counts_part"])
-add("idle_by_worker_part", on("part", lambda e: dynamic.replay(e, 17).select("worker", "idle")))
 
 # Baselines
 for _m in ("full", "induced"):
@@ -147,57 +146,61 @@ def _sampled(where: str, estimate: str) -> str:
 
 
 add("sparsify_part", on("part", approx.sparsify), _sampled(f"{_edge_hash()} < {approx.RANGE // 2}", "count(*) / 0.125"))
-add("stream_sample_part", on("part", approx.stream_sample))
-add("wedge_sample_part", on("part", approx.wedge_sample))
-add("approx_error_part", on("part", lambda e: approx.compared(approx.sparsify(e), e).select("exact", "estimate", "error")))
+_KEPT = "(SELECT src, dst FROM edges ORDER BY " + _edge_hash() + ", src, dst LIMIT 50000)"
+add(
+    "stream_sample_part", on("part", approx.stream_sample),
+    o.graph("part") + f", kept AS MATERIALIZED {_KEPT}, size AS (SELECT (SELECT count(*) FROM edges) AS m, (SELECT count(*) FROM kept) AS k), tri AS (SELECT count(*) AS t FROM kept x JOIN kept y ON x.dst = y.src JOIN kept z ON z.src = x.src AND z.dst = y.dst)"
+    + " SELECT k AS kept, t AS triangles, round(t * CASE WHEN k >= m THEN 1.0 ELSE (m * (m - 1.0::DOUBLE) * (m - 2.0::DOUBLE)) / greatest(1.0::DOUBLE, k * (k - 1.0::DOUBLE) * (k - 2.0::DOUBLE)) END, 6) AS estimate FROM size, tri",
+)
+_WEDGE = graph.mix_sql(f"(({graph.mix_sql(f'(({graph.mix_sql("v")} + u) % 2147483648)')} + w) % 2147483648)")
+add(
+    "wedge_sample_part", on("part", approx.wedge_sample),
+    o.graph("part") + o.arcs() + f", wedge AS (SELECT x.src AS v, x.dst AS u, y.dst AS w FROM near x JOIN near y ON x.src = y.src AND x.dst < y.dst), picked AS MATERIALIZED (SELECT u, w FROM wedge WHERE {_WEDGE} < {int(0.05 * approx.RANGE)}),"
+    + " s AS (SELECT (SELECT CAST(sum(deg * (deg - 1) // 2) AS BIGINT) FROM deg) AS wedges, (SELECT count(*) FROM picked) AS probed, (SELECT count(*) FROM picked p JOIN edges e ON e.src = p.u AND e.dst = p.w) AS closed)"
+    + " SELECT wedges, probed, closed, round(closed / greatest(probed, 1) * wedges / 3, 6) AS estimate, round(wedges / 3 * sqrt(closed / greatest(probed, 1) * (1 - closed / greatest(probed, 1)) / greatest(probed, 1)), 6) AS stderr FROM s",
+)
+add(
+    "approx_error_part", on("part", lambda e: approx.compared(approx.sparsify(e), e).select("exact", "estimate", "error")),
+    _sampled(f"{_edge_hash()} < {approx.RANGE // 2}", "count(*) / 0.125").replace("SELECT (SELECT count(*) FROM kept) AS kept", ", few AS (SELECT (SELECT count(*) FROM kept) AS kept", 1)
+    + "), whole AS (SELECT count(*) AS exact FROM edges x JOIN edges y ON x.dst = y.src JOIN edges z ON z.src = x.src AND z.dst = y.dst) SELECT exact, estimate, round(abs(estimate - exact) / greatest(exact, 1), 6) AS error FROM few, whole",
+)
 
 # Measures
-add("space_ratio_part", on("part", lambda e: measures.space_ratio(e, 16)))
 add(
     "load_imbalance_token", on("token", lambda e: measures.modelled_speedup(e, [16]).select("cut", "parts", "imbalance")),
     o.graph("token") + o.arcs() + o.cost("surrogate", "work") + "".join(o.cost(k, f"c_{k}") + o.blocks(16, f"c_{k}", f"o_{k}") for k in ("unit", "degree", "owner", "surrogate"))
     + " " + " UNION ALL ".join(f"SELECT '{k}' AS cut, 16 AS parts, round(CAST(max(w) AS DOUBLE) * 16 / CAST(sum(w) AS DOUBLE), 4) AS imbalance FROM (SELECT part, sum(work.f) AS w FROM o_{k} x JOIN work ON work.id = x.id GROUP BY 1)" for k in ("unit", "degree", "owner", "surrogate")),
 )
-add("modelled_speedup_part", on("part", lambda e: measures.modelled_speedup(e, [4, 16], ("owner", "surrogate"))))
-add("intermediate_rows", on("part", measures.intermediate_rows))
-add("complexity_terms_part", on("part", lambda e: measures.complexity_terms(exchange.build(e, 16))))
-
-
-def _sweep(row: Callable[[SparkSession, int], DataFrame], values: list[int]) -> Query:
-    def run(spark: SparkSession, folder: str) -> DataFrame:
-        out = None
-        for x in values:
-            one = row(spark, x)
-            out = one if out is None else out.unionByName(one)
-        return out
-
-    return run
-
-
-def _weak(spark: SparkSession, p: int) -> DataFrame:
-    """Network and blocks grow together: the largest load tells how the time would grow."""
-    return measures.imbalance(measures.load(cut_lineage(generators.pa(spark, p * 250, 10)), p, "surrogate"), p).select(F.lit(p).alias("parts"), F.col("most").cast("long").alias("most"), "imbalance")
-
-
-def _size(spark: SparkSession, n: int) -> DataFrame:
-    return measures.imbalance(measures.load(cut_lineage(generators.pa(spark, n, 10)), 16, "surrogate"), 16).select(F.lit(n).alias("nodes"), "imbalance", "speedup")
-
-
-def _degree(spark: SparkSession, d: int) -> DataFrame:
-    return measures.space_ratio(cut_lineage(graph.relabel(generators.pa(spark, 1000, d), "hashed")), 8).select(F.lit(d).alias("degree"), "nonoverlap", "overlapping", "ratio")
-
-
-add("weak_scaling_pa", _sweep(_weak, [4, 8, 16]))
-add("size_scaling_pa", _sweep(_size, [2000, 5000, 10000]))
-add("memory_by_degree_pa", _sweep(_degree, [10, 20, 50]))
 
 # Derived quantities
 add("clustering_local_part", on("part", derived.local_clustering), _part + o.PER_NODE + " SELECT id, CASE WHEN deg > 1 THEN round(2 * triangles / (deg * (deg - 1)), 6) ELSE 0.0 END AS clustering FROM pernode")
 add("clustering_avg", on("part", derived.average_clustering), _part + o.PER_NODE + " SELECT round(avg(CASE WHEN deg > 1 THEN 2 * triangles / (deg * (deg - 1)) ELSE 0.0 END), 6) AS clustering FROM pernode")
 add("transitivity", on("part", derived.transitivity), _part + " SELECT (SELECT count(*) FROM tri) AS triangles, CAST(sum(deg * (deg - 1) // 2) AS BIGINT) AS paths, round(3 * (SELECT count(*) FROM tri) / sum(deg * (deg - 1) // 2), 6) AS transitivity FROM deg")
 add("edge_support_user", on("user", derived.edge_support), _user + o.SUPPORT + " SELECT src, dst, support FROM support")
-add("truss_user", on("user", lambda e: derived.k_truss(e, 4)))
-add("triangle_components_user", on("user", derived.triangle_components))
+
+
+def _peeled(rounds: int) -> str:
+    """e0, e1, ..: edges that keep two triangles or more, round by round; enough rounds reach the end."""
+    steps = ["e0 AS MATERIALIZED (SELECT src, dst FROM edges)"]
+    for k in range(rounds):
+        side = f"FROM e{k} x JOIN e{k} y ON x.dst = y.src JOIN e{k} z ON z.src = x.src AND z.dst = y.dst"
+        sides = " UNION ALL ".join(f"SELECT {a}.src, {a}.dst {side}" for a in "xyz")
+        steps.append(f"e{k + 1} AS MATERIALIZED (SELECT src, dst FROM ({sides}) GROUP BY 1, 2 HAVING count(*) >= 2)")
+    return ", ".join(steps)
+
+
+add("truss_user", on("user", lambda e: derived.k_truss(e, 4)), o.graph("user") + f", {_peeled(12)} SELECT src, dst FROM e12")
+add(
+    "triangle_components_user", on("user", derived.triangle_components),
+    o.graph("user") + """, t AS MATERIALIZED (SELECT row_number() OVER () AS i, x.src AS a, x.dst AS b, y.dst AS c FROM edges x JOIN edges y ON x.dst = y.src JOIN edges z ON z.src = x.src AND z.dst = y.dst),
+      sides AS MATERIALIZED (SELECT i, a AS src, b AS dst FROM t UNION ALL SELECT i, b, c FROM t UNION ALL SELECT i, a, c FROM t),
+      beside AS MATERIALIZED (SELECT DISTINCT x.i, y.i AS j FROM sides x JOIN sides y USING (src, dst)),
+      reach(i, j) AS (SELECT i, j FROM beside UNION SELECT r.i, b.j FROM reach r JOIN beside b ON b.i = r.j),
+      of AS (SELECT i, min(j) AS g FROM reach GROUP BY 1),
+      first AS (SELECT g, min((src, dst)) AS e FROM of JOIN sides USING (i) GROUP BY 1),
+      corner AS (SELECT g, a AS id FROM of JOIN t USING (i) UNION SELECT g, b FROM of JOIN t USING (i) UNION SELECT g, c FROM of JOIN t USING (i))
+      SELECT CAST(first.e[1] AS BIGINT) AS src, CAST(first.e[2] AS BIGINT) AS dst, (SELECT count(*) FROM of WHERE of.g = first.g) AS triangles, (SELECT count(*) FROM corner WHERE corner.g = first.g) AS nodes FROM first""",
+)
 add("closure_candidates_user", on("user", derived.closure_candidates), o.graph("user") + o.arcs() + " SELECT x.dst AS u, y.dst AS w, count(*) AS paths FROM near x JOIN near y ON x.src = y.src AND x.dst < y.dst WHERE NOT EXISTS (SELECT 1 FROM edges e WHERE e.src = x.dst AND e.dst = y.dst) GROUP BY 1, 2")
 
 
@@ -207,7 +210,7 @@ def quality_signal(spark: SparkSession, folder: str) -> DataFrame:
     w = workloads.words(table(spark, folder, "documents")).where("size(w) >= 5")
     grams = w.select("doc_id", F.explode(F.array_distinct(F.transform(F.sequence(F.lit(1), F.size("w") - 4), lambda i: F.array_join(F.slice("w", i, F.lit(5)), " ")))).alias("g"))
     held = grams.groupBy("g").agg(F.count(F.lit(1)).alias("n")).where("n between 2 and 50").select("g")
-    named = graph.number(grams.join(held, "g").select("doc_id").distinct(), "doc_id")
+    named = graph.number(grams.join(held, "g").select("doc_id").distinct(), ["doc_id"])
     marked = named.join(table(spark, folder, "labels").select("doc_id", "quality"), "doc_id").join(derived.local_clustering(e), "id")
     return marked.groupBy("quality").agg(F.count(F.lit(1)).alias("docs"), F.round(F.avg("clustering"), 4).alias("clustering"))
 
@@ -218,13 +221,18 @@ add("quality_signal_doc", quality_signal, o.graph("doc") + o.arcs() + o.TRIANGLE
 _LISTS = o.graph("user") + o.arcs()
 add("udf_common_user", on("user", lambda e: exact.paired_lists(e).select(F.coalesce(F.sum(functions.common("nv", "nu")), F.lit(0)).cast("long").alias("triangles"))), _user + _T)
 add("udf_list_sizes_user", on("user", lambda e: orient.adjacency(e).select("id", functions.list_sizes("nbrs").alias("n"))), _LISTS + " SELECT id, eff AS n FROM eff")
-add("udf_gini_part", on("part", lambda e: measures.load(e, 16, "unit").agg(F.round(functions.gini(F.col("work").cast("double")), 6).alias("gini"))))
+add("udf_gini_part", on("part", lambda e: measures.load(e, 16, "unit").agg(F.round(functions.gini(F.col("work").cast("double")), 6).alias("gini"))), o.graph("part") + o.arcs() + o.cost("unit") + o.cost("surrogate", "work") + o.blocks(16) + ", loads AS (SELECT part, CAST(sum(work.f) AS DOUBLE) AS w FROM owner JOIN work USING (id) GROUP BY 1), r AS (SELECT w, row_number() OVER (ORDER BY w) AS i, count(*) OVER () AS n FROM loads) SELECT round(sum((2 * i - n - 1) * w) / (max(n) * sum(w)), 6) AS gini FROM r")
 
 
 def udtf_triangles(spark: SparkSession, folder: str) -> DataFrame:
+    """The triangles on top of each node, by the table function on the edges among its higher neighbours: rows are bounded by the lists, not by the network."""
     functions.register(spark)
-    workloads.user(spark, folder).agg(F.collect_list(F.struct("src", "dst")).alias("edges")).createOrReplaceTempView("edge_row")
-    return spark.sql("SELECT t.a, t.b, t.c FROM edge_row, LATERAL triangles_of(edges) t")
+    arcs = cut_lineage(workloads.user(spark, folder))
+    pair = arcs.select(F.col("src").alias("a"), F.col("dst").alias("src")).join(arcs, "src").join(arcs.select(F.col("src").alias("a"), "dst"), ["a", "dst"], "left_semi")
+    own = pair.groupBy("a").agg(F.collect_list(F.struct("src", "dst")).alias("inner"))
+    spokes = F.flatten(F.transform("inner", lambda e: F.array(F.struct(F.col("a").alias("src"), e["src"].alias("dst")), F.struct(F.col("a").alias("src"), e["dst"].alias("dst")), e)))
+    own.select("a", spokes.alias("edges")).createOrReplaceTempView("edge_rows")
+    return spark.sql("SELECT t.a, t.b, t.c FROM edge_rows r, LATERAL triangles_of(r.edges) t WHERE t.a = r.a")
 
 
 add("op_udtf_triangles", udtf_triangles, o.graph("user") + " SELECT x.src AS a, x.dst AS b, y.dst AS c FROM edges x JOIN edges y ON x.dst = y.src JOIN edges z ON z.src = x.src AND z.dst = y.dst")
@@ -256,6 +264,15 @@ def dedupe_late(spark: SparkSession, folder: str) -> DataFrame:
 add("stream_dedupe_late", dedupe_late, "SELECT event_id, user_id FROM events")
 
 
+def coactive(spark: SparkSession, folder: str) -> DataFrame:
+    """Pairs of events of different users at most a minute apart, by a join of two streams."""
+    path = streaming.staged(spark, table(spark, folder, "events"))
+    return streaming.drained(streaming.coactivity(streaming.event_stream(spark, path), streaming.event_stream(spark, path)), "append")
+
+
+add("stream_coactivity_user", coactive, "SELECT x.event_id AS a, y.event_id AS b FROM events x JOIN events y ON y.ts >= x.ts AND y.ts <= x.ts + INTERVAL 1 MINUTE AND x.event_id <> y.event_id AND x.user_id < y.user_id")
+
+
 def incremental(spark: SparkSession, folder: str) -> DataFrame:
     """The edges of g_user in batches; the sum of the increments is the count."""
     root = f"{shared_folder(spark)}/growing-{uuid.uuid4().hex}"
@@ -271,3 +288,5 @@ add("stream_incremental_user", incremental, _user + _T)
 
 for _name, (_f, _sql) in OPS.items():
     add(_name, _f, _sql)
+for _name, (_f, _sql) in EXPERIMENTS.items():
+    add(_name, _f, _sql)

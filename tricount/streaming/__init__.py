@@ -34,12 +34,17 @@ def staged(spark: SparkSession, events: DataFrame, batches: int = 1) -> str:
 
 
 def drained(out: DataFrame, mode: str = "complete") -> DataFrame:
-    """Run a stream over what there is and read its result back."""
+    """Run a stream over what there is and read its result back, from Parquet in the shared folder."""
     spark = out.sparkSession
-    name = f"out_{uuid.uuid4().hex}"
-    q = out.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", f"{shared_folder(spark)}/stream-{uuid.uuid4().hex}").trigger(availableNow=True).start()
+    path = f"{shared_folder(spark)}/out-{uuid.uuid4().hex}"
+    schema = out.schema
+    sink = out.writeStream.outputMode(mode).option("checkpointLocation", f"{shared_folder(spark)}/stream-{uuid.uuid4().hex}").trigger(availableNow=True)
+    if mode == "append":
+        q = sink.format("parquet").option("path", path).start()
+    else:  # every batch gives the whole result: the last one counts
+        q = sink.foreachBatch(lambda df, number: df.write.mode("overwrite").parquet(path)).start()
     q.awaitTermination()
-    return spark.table(name)
+    return spark.read.schema(schema).parquet(path)
 
 
 def window_users(stream: DataFrame, width: str = "1 minute", slide: str | None = None, late: str = "10 minutes") -> DataFrame:
@@ -69,11 +74,16 @@ def without_repeats(stream: DataFrame, late: str = "1 hour") -> DataFrame:
     return stream.withWatermark("ts", late).dropDuplicatesWithinWatermark(["event_id"])
 
 
-def coactivity(left: DataFrame, right: DataFrame, within: str = "1 minute", late: str = "10 minutes") -> DataFrame:
-    """a, b: events of different users at most ``within`` apart, a watermarked join of two streams on the bucket of time."""
-    x = left.withWatermark("ts", late).select(F.col("event_id").alias("a"), F.col("user_id").alias("u"), F.col("ts").alias("t"))
-    y = right.withWatermark("ts", late).select(F.col("event_id").alias("b"), F.col("user_id").alias("v"), F.col("ts").alias("s"))
-    return x.join(y, F.expr(f"s >= t AND s <= t + INTERVAL {within} AND a <> b AND u < v")).select("a", "b")
+def coactivity(left: DataFrame, right: DataFrame, seconds: int = 60, late: str = "10 minutes") -> DataFrame:
+    """a, b: events of different users (the lower one first) of which b comes at most ``seconds`` after a.
+
+    A watermarked join of two streams needs an equality: times fall into buckets of that width, and a right event stands in
+    its own bucket and the one before, so each pair meets in one bucket only.
+    """
+    bucket = lambda c: F.expr(f"unix_seconds({c}) div {seconds}")
+    x = left.withWatermark("ts", late).select(F.col("event_id").alias("a"), F.col("user_id").alias("u"), F.col("ts").alias("t"), bucket("ts").alias("k"))
+    y = right.withWatermark("ts", late).select(F.col("event_id").alias("b"), F.col("user_id").alias("v"), F.col("ts").alias("s"), F.explode(F.array(bucket("ts"), bucket("ts") - 1)).alias("j"))
+    return x.join(y, F.expr(f"k = j AND s >= t AND s <= t + INTERVAL {seconds} SECONDS AND a <> b AND u < v")).select("a", "b")
 
 
 def added_triangles(known: DataFrame, batch: DataFrame) -> DataFrame:
