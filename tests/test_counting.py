@@ -1,5 +1,6 @@
 """Hand-worked network, closed forms, invariants, equivalence of methods."""
 
+import numpy as np
 import pytest
 
 from tricount.operators import approx, blocks, cost, derived, dynamic, exact, exchange, generators, graph, mapreduce, measures, orient, overlap, tasks
@@ -161,3 +162,51 @@ def test_trends(spark):
 def test_plans_have_no_cartesian_product(f1):
     text = exact.count_intersect(f1)._jdf.queryExecution().toString()
     assert "CartesianProduct" not in text and "BroadcastNestedLoopJoin" not in text
+
+
+def test_common_entries_equal_set_intersections(monkeypatch):
+    """Lists sent against lists held, also where look-ups are cut into many chunks and where ids are too large for joint keys."""
+    rng = np.random.default_rng(4)
+    for spread in (1, 1 << 56):
+        ids = np.sort(rng.choice(60, 25, replace=False)) * spread
+        held = [np.sort(rng.choice(60, int(rng.integers(0, 9)), replace=False)) * spread for _ in ids]
+        sent = [np.sort(rng.choice(60, int(rng.integers(0, 12)), replace=False)) * spread for _ in range(40)]
+        own = dict(zip(ids.tolist(), map(set, (h.tolist() for h in held)), strict=True))
+        want = sum(len(set(x.tolist()) & own.get(u, set())) for x in sent for u in x.tolist())
+        flat = lambda xs: (np.concatenate([[0], np.cumsum([len(x) for x in xs])]), np.concatenate(xs))
+        for chunk in (1, 7, 1 << 20):
+            monkeypatch.setattr(exchange, "CHUNK", chunk)
+            assert exchange.common_entries(ids, *flat(held), *flat(sent)) == want
+
+
+def test_surrogate_moves_each_list_once(spark):
+    """The plan of the surrogate's count has one exchange of lists; many small batches give the same counts."""
+    e = graph.relabel(generators.pa(spark, 600, 10), "hashed")
+    cut = exchange.build(e, 5)
+    t = value(exact.count_intersect(e))
+    assert sum(r.triangles for r in exchange.count(cut, "surrogate").collect()) == t
+    before = spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch")
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", "7")
+    try:
+        assert sum(r.triangles for r in exchange.count(cut, "surrogate").collect()) == t
+    finally:
+        spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", before)
+    plan = exchange.receive(cut, exchange.messages(cut))._jdf.queryExecution().executedPlan().toString()
+    assert plan.count("Exchange") == 1 and "Join" not in plan
+
+
+def test_tasks_of_tiny_networks(spark):
+    one = spark.createDataFrame([(0, 3)], "id long, f long")
+    assert tasks.collected(one).n == 1 and tasks.collected(one.limit(0)).n == 0
+    assert value(tasks.task_size(one, 0, 5)) == 3 and value(tasks.task_size(one, 1, 5)) == 0
+
+
+def test_sweeps_agree_with_single_measures(f1):
+    cut = exchange.build(f1, 3)
+    rows = {(r.scheme, r.parts): r for r in measures.scheme_speedup(f1, [1, 3]).collect()}
+    assert rows[("surrogate", 1)].most == 26 and rows[("overlapping", 1)].speedup == 1.0
+    own = measures.memory(f1, [3]).collect()[0]
+    assert own.nonoverlap == max(r.bytes for r in measures.space(exchange.sizes(cut)).collect())
+    whole = dynamic.sweep(f1, [3], ("degree",), ("shrinking",)).collect()[0]
+    each = dynamic.replay(f1, 3).collect()
+    assert whole.makespan == max(r.busy for r in each) and whole.idle == sum(r.idle for r in each) and whole.tasks == 5

@@ -95,7 +95,10 @@ def cut(name: str, parts: int = 16, kind: str = "surrogate") -> str:
 
 # Method 1
 for _g in ("part", "token"):
-    add(f"nonoverlap_sizes_{_g}", on(_g, lambda e: exchange.sizes(exchange.build(e, 16))), cut(_g) + o.OVERLAP + " SELECT v.part, v_count, e_count FROM (SELECT part, count(*) AS v_count FROM inblock GROUP BY 1) v JOIN (SELECT part, CAST(sum(eff) AS BIGINT) AS e_count FROM owner JOIN eff USING (id) GROUP BY 1) e ON e.part = v.part")
+    add(
+        f"nonoverlap_sizes_{_g}", on(_g, lambda e: exchange.sizes(exchange.build(e, 16))),
+        cut(_g) + ", known AS (SELECT part, id FROM owner UNION SELECT x.part, a.dst AS id FROM arcs a JOIN owner x ON x.id = a.src), vs AS (SELECT part, count(*) AS v_count FROM known GROUP BY 1), es AS (SELECT x.part, CAST(sum(eff) AS BIGINT) AS e_count FROM owner x JOIN eff ON eff.id = x.id GROUP BY 1) SELECT vs.part, v_count, e_count FROM vs JOIN es ON es.part = vs.part",
+    )
     for _s in exchange.SCHEMES:
         add(f"nonoverlap_count_{_s}_{_g}", on(_g, lambda e, s=_s: exchange.count(exchange.build(e, 16), s)), cut(_g) + o.TRIANGLES + " " + o.exchange(_s))
     add(f"traffic_{_g}_p16", on(_g, lambda e: exchange.traffic(exchange.build(e, 16))), cut(_g) + " " + o.traffic())
