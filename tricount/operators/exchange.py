@@ -103,10 +103,8 @@ def common_entries(ids: np.ndarray, offsets: np.ndarray, entries: np.ndarray, se
     if not len(place):
         return 0
     base = int(max(flat.max(), entries.max(initial=0))) + 1
-    if base * len(sent) >= 1 << 62:  # ids too large for joint keys: halve the messages
+    if len(sent) > 2 and base * len(sent) >= 1 << 62:  # ids too large for joint keys: halve the messages
         half = (len(sent) - 1) // 2
-        if not half:
-            raise ValueError("ids beyond 2^61")
         at = int(sent[half])
         return common_entries(ids, offsets, entries, sent[: half + 1], flat[:at]) + common_entries(ids, offsets, entries, sent[half:] - at, flat[at:])
     keys = np.repeat(np.arange(len(sent) - 1) * base, np.diff(sent)) + flat
