@@ -82,7 +82,13 @@ class Templates:
 
     def _number(self, word: str) -> int:
         """The row of ``codes`` that a new chunk will get."""
-        self.new.append(self._codes(word))
+        bare = word.rstrip(".,;!?")
+        if bare.islower() and bare.isalpha() and bare not in UNITS:  # a plain word, as most are
+            raw = bare.encode("utf-8", "replace")
+            code = crc32(raw) or 1
+            self.new.append((code, code, 8 * word[len(bare) :].endswith(_ENDS), crc32(raw, _LITERAL)))
+        else:
+            self.new.append(self._codes(word))
         return self.used + len(self.new) - 1
 
     def _rows(self, chunks: list[str]) -> np.ndarray:
@@ -107,15 +113,15 @@ class Templates:
             return 0, 0, 4 | 8 * (ends or word == "\n"), 0
         inside = crc32(shown.encode("utf-8", "replace")) or 1
         start = crc32(value.encode("utf-8", "replace")) or 1 if kind == _NAME else inside
-        return inside, start, kind | 8 * ends, crc32(f"={value or shown}".encode("utf-8", "replace"))
+        return inside, start, kind | 8 * ends, crc32((value or shown).encode("utf-8", "replace"), _LITERAL)
 
     def of(self, text: str | None) -> tuple[list[str], np.ndarray, np.ndarray]:
         """Chunks that give template words, their codes, and their kinds; a capitalised word that starts a sentence is a plain word."""
-        chunks, readings = self.readings(text)
-        return chunks, *readings[WORD]
+        chunks, place, readings = self.readings(text)
+        return [chunks[p] for p in place.tolist()], *readings[WORD]
 
-    def readings(self, text: str | None) -> tuple[list[str], list[tuple[np.ndarray, np.ndarray]]]:
-        """Chunks that give template words, and their codes and kinds by reading: WORD, NAME (a capitalised word that starts a sentence is a name) and LITERAL (no placeholders)."""
+    def readings(self, text: str | None) -> tuple[list[str], np.ndarray, list[tuple[np.ndarray, np.ndarray]]]:
+        """The chunks, the places of those that give template words, and their codes and kinds by reading: WORD, NAME (a capitalised word that starts a sentence is a name) and LITERAL (no placeholders)."""
         chunks = (text or "").replace("\t", " ").replace("\r", "\n").replace("\n", " \n ").split(" ")
         got = self._rows(chunks)
         ends = (got[:, 2] & 8) > 0
@@ -138,10 +144,12 @@ class Templates:
         code = np.where(unit, _UNIT_CODE, code)
         kind = np.where((kind == _UNIT) & ~unit, _PLAIN, kind)
         plain = np.where((kind == _NAME) & first, _PLAIN, kind)
-        return [chunks[p] for p in place.tolist()], [(code, plain), (named, kind), (got[place, 3], np.zeros(len(place), dtype=np.int64))]
+        return chunks, place, [(code, plain), (named, kind), (got[place, 3], np.zeros(len(place), dtype=np.int64))]
 
 
 _UNIT_CODE = crc32(b"<unit>")
+#: Literal words are hashed behind a sign of their own.
+_LITERAL = crc32(b"=")
 _M = np.uint64(0x9E3779B97F4A7C15)
 
 
@@ -176,9 +184,10 @@ def _read_windows(readings: list[tuple[np.ndarray, np.ndarray]], width: int, lit
         yield LITERAL, *windows(*readings[LITERAL], width)
 
 
-def _slots(chunks: list[str], kind: np.ndarray, at: int, width: int) -> list[str]:
+def _slots(chunks: list[str], place: np.ndarray, kind: np.ndarray, at: int, width: int) -> list[str]:
     """The values of a window's slots, by place in the window."""
-    return [f"{j}:{canonical(chunks[at + j])[1] or chunks[at + j].lower()}" for j in range(min(width, len(chunks) - at)) if kind[at + j] != _PLAIN]
+    words = [chunks[p] for p in place[at : at + width].tolist()]
+    return [f"{j}:{canonical(w)[1] or w.lower()}" for j, w in enumerate(words) if kind[at + j] != _PLAIN]
 
 
 def _bits(h: np.ndarray) -> np.ndarray:
@@ -187,6 +196,16 @@ def _bits(h: np.ndarray) -> np.ndarray:
     return np.stack([u & np.uint64(BITS - 1), (u >> np.uint64(32)) & np.uint64(BITS - 1)]).astype(np.int64)
 
 
+def _passing(bits: np.ndarray, h: np.ndarray) -> np.ndarray:
+    """Which hashes have both of their places marked; few pass the first, so the second is looked up for those only."""
+    u = h.view(np.uint64)
+    for shift in (np.uint64(0), np.uint64(32)):
+        at = ((u >> shift) & np.uint64(BITS - 1)).view(np.int64)
+        marked = np.flatnonzero(bits[at >> 3] >> (at & 7).astype(np.uint8) & 1)
+        left, u = (marked, u[marked]) if not shift else (left[marked], u)
+    return left
+
+
 _WINDOW_DDL = "id long, place int, hash long, width int, reading int, slots array<string>"
 
 
@@ -196,12 +215,12 @@ def benchmark_windows(benchmark: DataFrame, width: int = WINDOW) -> DataFrame:
     def rows(templates, ids, texts):
         out = {k: [] for k in ("id", "place", "hash", "width", "reading", "slots")}
         for item, text in zip(ids, texts, strict=True):
-            chunks, readings = templates.readings(text)
-            own = min(width, len(chunks))
+            chunks, words, readings = templates.readings(text)
+            own = min(width, len(words))
             literal = not len(windows(*readings[WORD], width)[0])  # no window says enough: the words as they stand
             for reading, places, hashes in _read_windows(readings, width, literal):
                 for at, h in zip(places.tolist(), hashes.tolist(), strict=True):
-                    for k, v in zip(out, (item, at, h, own, reading, _slots(chunks, readings[reading][1], at, own)), strict=True):
+                    for k, v in zip(out, (item, at, h, own, reading, _slots(chunks, words, readings[reading][1], at, own)), strict=True):
                         out[k].append(v)
         return out
 
@@ -216,13 +235,12 @@ def document_hits(docs: DataFrame, filter_bits: np.ndarray, widths: list[int], l
         out = {k: [] for k in ("id", "place", "hash", "width", "reading", "slots")}
         bits = held.value
         for doc, text in zip(ids, texts, strict=True):
-            chunks, readings = templates.readings(text)
-            for w in (w for w in widths if w <= len(chunks)):
+            chunks, words, readings = templates.readings(text)
+            for w in (w for w in widths if w <= len(words)):
                 for reading, places, hashes in _read_windows(readings, w, literal):
-                    one, two = _bits(hashes)
-                    hit = np.flatnonzero((bits[one >> 3] >> (one & 7).astype(np.uint8)) & (bits[two >> 3] >> (two & 7).astype(np.uint8)) & 1)
+                    hit = _passing(bits, hashes)
                     for at, h in zip(places[hit].tolist(), hashes[hit].tolist(), strict=True):
-                        for k, v in zip(out, (doc, at, h, w, reading, _slots(chunks, readings[reading][1], at, w)), strict=True):
+                        for k, v in zip(out, (doc, at, h, w, reading, _slots(chunks, words, readings[reading][1], at, w)), strict=True):
                             out[k].append(v)
         return out
 
