@@ -210,3 +210,16 @@ def test_sweeps_agree_with_single_measures(f1):
     whole = dynamic.sweep(f1, [3], ("degree",), ("shrinking",)).collect()[0]
     each = dynamic.replay(f1, 3).collect()
     assert whole.makespan == max(r.busy for r in each) and whole.idle == sum(r.idle for r in each) and whole.tasks == 5
+
+
+def test_cuts_are_exact_beyond_the_units(spark):
+    """Few units, each of many ids, give the tasks that single ids give; also where costs are zero."""
+    rng = np.random.default_rng(3)
+    for f in (rng.integers(0, 9, 90), np.where(np.arange(90) % 40 == 3, 500, 0), np.zeros(90, dtype=int)):
+        costs = spark.createDataFrame([(i, int(x)) for i, x in enumerate(f)], "id long, f long").coalesce(1).cache()
+        single, coarse = tasks.collected(costs), tasks.collected(costs, units=4)
+        assert (single.step, coarse.step, len(coarse.upto)) == (1, 23, 5)
+        for kind in ("static", "equal", "shrinking"):
+            for p in (2, 5, 17):
+                assert tasks.plan(coarse, p, kind) == tasks.plan(single, p, kind)
+        assert [coarse.below(i) for i in range(91)] == [single.below(i) for i in range(91)]
