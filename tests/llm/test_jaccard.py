@@ -2,6 +2,7 @@
 
 import importlib
 import random
+from fractions import Fraction
 
 import pytest
 from pyspark.sql import functions as F
@@ -90,3 +91,17 @@ def test_rows_that_repeat_an_id_are_judged_by_their_texts(spark, partitions, sta
     assert sorted(r.text for r in got if r.doc_id == 5) == sorted(texts) and not [r for r in got if r.doc_id == 6]
     row = F.struct(*docs.columns)
     assert [r.n_chars for r in got if r.doc_id == 9] == [docs.where("doc_id = 9").orderBy(F.xxhash64(row)).first().n_chars]
+
+
+def test_postings_of_the_same_nodes_are_one(spark):
+    """Texts that share a passage meet once with the number of its postings, not at each of its shingles; the groups stay."""
+    passage = " ".join(f"p{i}" for i in range(40))
+    texts = [f"{passage} " + " ".join(f"t{k}x{i}" for i in range(1 + k)) for k in range(3)] + ["alone with other words of its own here"]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    postings = jaccard._postings(jaccard.shingle_sets(docs, 5, Fraction("0.8"), 42))
+    rows = jaccard._shared_postings(postings).collect()
+    shared = postings.groupBy("h").agg(F.count("*").alias("n"), F.sort_array(F.collect_list("node")).alias("nodes")).where("n > 1").collect()
+    assert len({r.h for r in rows}) == len({tuple(r.nodes) for r in shared}) < len(shared)
+    assert sum(r.times for r in rows) == sum(r.n for r in shared)
+    groups = {r.doc_id: r.component_id for r in jaccard.similar_groups(docs).collect()}
+    assert groups == {0: 0, 1: 0, 2: 0, 3: 3}

@@ -5,7 +5,8 @@ sets whose similarity reaches ``least`` share at least k shingles among the firs
 ceil(least * n)), so only those are posted, and only pairs that meet k times are looked at. The order puts crowded
 shingles last. Which ones are crowded is told by a bitmap from an eighth of the texts: it moves work, never a result.
 
-Inside a posting, pairs are held against bounds that no link can fail (sizes, and the parity of the shingles in 256
+Postings that hold the same nodes are one that counts so many times: a shared passage is met once, not at each of its
+shingles. Inside a posting, pairs are held against bounds that no link can fail (sizes, and the parity of the shingles in 256
 cells, whose difference is at most that of the sets); what remains is compared set by set. A first round compares each
 large posting with one pivot; the second forms pairs only of nodes that are not yet in one component, so a large group
 of near copies does not become all of its pairs. The first round also takes what the SimHash index links: texts of equal
@@ -158,25 +159,38 @@ def _bounds(h: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 
 
 def _shared(h: np.ndarray, node: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
-    """The rows of the postings of two rows or more."""
+    """The rows of the postings of two rows or more, under a number that the posting's nodes make."""
     start, end = _bounds(h)
-    held = np.repeat(end - start > 1, end - start)
-    yield h[held], node[held]
+    mixed = node.view(np.uint64) * np.uint64(0x9E3779B97F4A7C15)
+    mixed = (mixed ^ (mixed >> np.uint64(29))) * np.uint64(0xBF58476D1CE4E5B9)
+    made = np.add.reduceat(mixed ^ (mixed >> np.uint64(32)), start).view(np.int64)
+    size = end - start
+    held = np.repeat(size > 1, size)
+    yield np.repeat(made, size)[held], node[held]
+
+
+def _shared_postings(postings: DataFrame) -> DataFrame:
+    """(h, node, times): the postings of two rows or more; those that hold the same nodes are one, met so many times.
+
+    Texts that share a passage meet at each of its shingles, at postings of the same nodes. Should different nodes make
+    one number, their postings are one of them all, with all of their pairs and more.
+    """
+    return _by_posting(postings, "h long, node long", _shared).groupBy("h", "node").agg(F.count(F.lit(1)).alias("times"))
 
 
 def _pairs(posted: DataFrame, least: Fraction, pivot: bool) -> DataFrame:
     """(a, b), a < b: pairs of nodes of different groups that no bound rules out; pivot: only with one node of each large posting."""
     p, q = least.numerator, least.denominator
 
-    def made(node, n, odd, i, j):
+    def made(node, n, odd, times, i, j):
         # J >= p/q asks that the sets differ in at most (q-p)/(q+p) of the sum of their sizes.
         apart = np.bitwise_count(odd[i] ^ odd[j]).sum(axis=1, dtype=np.int64)
         ok = apart * (p + q) <= (q - p) * (n[i] + n[j])
         i, j = i[ok], j[ok]
         size = np.minimum(n[i], n[j])
-        return np.minimum(node[i], node[j]), np.maximum(node[i], node[j]), np.minimum(1 + size // 20, -(-p * size // q))
+        return np.minimum(node[i], node[j]), np.maximum(node[i], node[j]), np.minimum(1 + size // 20, -(-p * size // q)), np.maximum(times[i], times[j])
 
-    def with_pivot(h, node, n, odd, group):
+    def with_pivot(h, node, n, odd, times, group):
         n = n.astype(np.int64)
         start, end = _bounds(h)
         large = end - start >= LARGE
@@ -187,14 +201,14 @@ def _pairs(posted: DataFrame, least: Fraction, pivot: bool) -> DataFrame:
             lead = s + int(np.argmin(mixed))
             j = np.arange(s, e)
             j = j[(group[j] != group[lead]) & (q * np.minimum(n[j], n[lead]) >= p * np.maximum(n[j], n[lead]))]
-            yield made(node, n, odd, np.full(len(j), lead), j)
+            yield made(node, n, odd, times, np.full(len(j), lead), j)
 
-    def all_pairs(h, node, n, odd, group):
+    def all_pairs(h, node, n, odd, times, group):
         # Postings of one group have no pair to look at.
         start, end = _bounds(h)
         rows = np.flatnonzero(np.repeat(np.minimum.reduceat(group, start) != np.maximum.reduceat(group, start), end - start))
         rows = rows[np.lexsort((n[rows], h[rows]))]
-        h, node, n, odd, group = h[rows], node[rows], n[rows].astype(np.int64), odd[rows], group[rows]
+        h, node, n, odd, times, group = h[rows], node[rows], n[rows].astype(np.int64), odd[rows], times[rows], group[rows]
         # Each row meets the row d places on, for all postings at once. Rows of a posting stand by size: one that meets a set too large for it is done.
         i = np.arange(len(h))
         for d in range(1, len(h)):
@@ -203,12 +217,12 @@ def _pairs(posted: DataFrame, least: Fraction, pivot: bool) -> DataFrame:
             if not len(i):
                 return
             other = i[group[i] != group[i + d]]
-            yield made(node, n, odd, other, other + d)
+            yield made(node, n, odd, times, other, other + d)
 
-    met = _by_posting(posted.select("h", "node", "n", "odd", "group"), "a long, b long, need long", with_pivot if pivot else all_pairs)
+    met = _by_posting(posted.select("h", "node", "n", "odd", "times", "group"), "a long, b long, need long, times long", with_pivot if pivot else all_pairs)
     if pivot:
         return met.select("a", "b").distinct()
-    return met.groupBy("a", "b").agg(F.count(F.lit(1)).alias("met"), F.max("need").alias("need")).where("met >= need").select("a", "b")
+    return met.groupBy("a", "b").agg(F.sum("times").alias("met"), F.max("need").alias("need")).where("met >= need").select("a", "b")
 
 
 def _verified(pairs: DataFrame, docs: DataFrame, nodes: DataFrame, least: Fraction, shingle: int, seed: int) -> DataFrame:
@@ -264,8 +278,7 @@ def _groups(docs: DataFrame, shingle: int, least: str, seed: int) -> tuple[DataF
         raise ValueError("least must be above 0 and at most 1")
     sets = stored(shingle_sets(docs, shingle, bound, seed))
     nodes = stored(sets.groupBy("node").agg(F.min("doc_id").alias("head"), F.max("n").alias("n"), F.max("odd").alias("odd"), F.max("fp").alias("fp")))
-    shared = _by_posting(_postings(sets), "h long, node long", _shared)
-    posted = stored(shared.join(nodes.select("node", "n", "odd"), "node").select("h", "node", "n", "odd"))
+    posted = stored(_shared_postings(_postings(sets)).join(nodes.select("node", "n", "odd"), "node").select("h", "node", "n", "odd", "times"))
     verified = lambda pairs: _verified(pairs, docs, nodes, bound, shingle, seed)
     pivots = _pairs(posted.withColumn("group", F.col("node")), bound, pivot=True)
     links = stored(verified(pivots.unionByName(_near_fingerprints(nodes)).distinct()))
