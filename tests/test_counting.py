@@ -195,6 +195,22 @@ def test_surrogate_moves_each_list_once(spark):
     assert plan.count("Exchange") == 1 and "Join" not in plan
 
 
+def test_lists_cross_once_for_each_block(spark, monkeypatch):
+    """Counts over many blocks equal those over one; the one exchange of lists stands behind no join, and no pair of lists is a row."""
+    e = graph.relabel(generators.pa(spark, 400, 10), "hashed").cache()
+    want = value(exact.count_intersect(e, kernel="hash"))
+    once = {(r.id, r.triangles) for r in derived.node_triangles(e).collect()}
+    monkeypatch.setattr(exact, "ENTRIES", 150)
+    monkeypatch.setattr(exact, "UNITS", 64)
+    dealt = exact._sent(orient.orient(e))
+    rows = dealt.where("kind = 1").select("dest", "src").collect()
+    assert len({r.dest for r in rows}) > 8 and len(rows) == len(set(rows)) < e.count()
+    assert want == value(exact.count_intersect(e)) == value(exact.count_closure(e)) == value(exact.count_node_centred(e))
+    assert once == {(r.id, r.triangles) for r in derived.node_triangles(e).collect()} == {(r.id, r.triangles) for r in derived.node_triangles_def(e).collect()}
+    plan = exact.count_intersect(e)._jdf.queryExecution().executedPlan().toString()
+    assert "Join" not in plan
+
+
 def test_tasks_of_tiny_networks(spark):
     one = spark.createDataFrame([(0, 3)], "id long, f long")
     assert tasks.collected(one).n == 1 and tasks.collected(one.limit(0)).n == 0
