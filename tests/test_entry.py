@@ -9,7 +9,7 @@ import __spark_entry__ as entry
 
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
 #: One of each kind; the others differ in network or parameter.
-SOME = "edges_user tri_intersect_user tri_per_node_part cost_surrogate nonoverlap_count_surrogate_part traffic_part_p16 tasks_shrinking_part task_counts_part overlap_count_part sparsify_part clustering_avg op_join_asof op_window_range op_array_sets op_udtf_triangles udf_common_user udf_list_sizes_user stream_window_user stream_session_user stream_dedupe_late stream_incremental_user stream_coactivity_user replay_shrinking_part memory_hub scheme_speedup_part truss_user wedge_sample_part nonoverlap_sizes_part".split()
+SOME = "edges_pa tri_intersect_pa completion_messages op_cte_recursive edges_user tri_intersect_user tri_per_node_part cost_surrogate nonoverlap_count_surrogate_part traffic_part_p16 tasks_shrinking_part task_counts_part overlap_count_part sparsify_part clustering_avg op_join_asof op_window_range op_array_sets op_udtf_triangles udf_common_user udf_list_sizes_user stream_window_user stream_session_user stream_dedupe_late stream_incremental_user stream_coactivity_user replay_shrinking_part memory_hub scheme_speedup_part truss_user wedge_sample_part nonoverlap_sizes_part".split()
 
 
 def plain(v):
