@@ -247,3 +247,13 @@ def test_star_with_parts_among_the_suppliers_numbers(spark, tmp_path):
     spark.createDataFrame([(1, 3), (2, 4)], "o_orderkey long, o_custkey long").write.parquet(f"{tmp_path}/orders.parquet")
     rows = sorted(map(tuple, workloads.star(spark, str(tmp_path)).collect()))
     assert rows == [(0, 2), (0, 3), (1, 2), (1, 3), (2, 3)]
+
+
+def test_overlapping_blocks_broadcast_no_list(f1):
+    """Lists are joined by merging, and met where their block is: no list reaches the driver."""
+    built = overlap.build(exchange.build(f1, 3, "owner"))
+    plan = built._jdf.queryExecution().optimizedPlan().toString()
+    assert "strategy=merge" in plan
+    rows = overlap.count(built)
+    text = rows._jdf.queryExecution().executedPlan().toString()
+    assert sum(r.triangles for r in rows.collect()) == 5 and "array_intersect" not in text
