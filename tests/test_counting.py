@@ -257,3 +257,24 @@ def test_overlapping_blocks_broadcast_no_list(f1):
     rows = overlap.count(built)
     text = rows._jdf.queryExecution().executedPlan().toString()
     assert sum(r.triangles for r in rows.collect()) == 5 and "array_intersect" not in text
+
+
+def test_reducers_of_buckets_move_no_two_path(spark, monkeypatch):
+    """The bucket methods meet lists in blocks: no two-path goes through a join or a shuffle, whatever the number of blocks."""
+    e = graph.relabel(generators.pa(spark, 300, 10), "hashed").cache()
+    for rho in (4,):
+        each = {}
+        for r in mapreduce.triple_copies(e, rho).collect():
+            each.setdefault(tuple(r.key), {}).setdefault(r.src, {})[r.dst] = (r.bs, r.bd)
+        want = [0] * 4
+        for near in each.values():
+            for a in near:
+                for b, (x, y) in near[a].items():
+                    for c in near[a].keys() & near.get(b, {}).keys():
+                        want[len({x, y, near[a][c][1]})] += 1
+        monkeypatch.setattr(exact, "ENTRIES", 150)
+        monkeypatch.setattr(exact, "UNITS", 64)
+        met = mapreduce.bucket_triple_counts(e, rho)
+        assert {r.kinds: r.found for r in met.collect()} == {k: n for k, n in enumerate(want) if n}
+        assert value(mapreduce.count_bucket_triples(e, rho)) == value(mapreduce.count_bucket_pairs_triples(e, rho)) == value(exact.count_intersect(e))
+    assert "Join" not in met._jdf.queryExecution().executedPlan().toString()
