@@ -278,3 +278,35 @@ def test_reducers_of_buckets_move_no_two_path(spark, monkeypatch):
         assert {r.kinds: r.found for r in met.collect()} == {k: n for k, n in enumerate(want) if n}
         assert value(mapreduce.count_bucket_triples(e, rho)) == value(mapreduce.count_bucket_pairs_triples(e, rho)) == value(exact.count_intersect(e))
     assert "Join" not in met._jdf.queryExecution().executedPlan().toString()
+
+
+def test_pairs_of_lists_are_formed_where_they_meet(spark, monkeypatch):
+    """A row of two lists stands behind no join, and the pairs are those of the arcs, over many blocks too; tasks over a shuffle form none."""
+    e = graph.relabel(generators.pa(spark, 300, 10), "hashed").cache()
+    near = {}
+    for r in orient.orient(e).collect():
+        near.setdefault(r.src, []).append(r.dst)
+    want = sorted((v, u, sorted(x), sorted(near[u])) for v, x in near.items() if len(x) > 1 for u in x if u in near)
+    monkeypatch.setattr(exact, "ENTRIES", 150)
+    monkeypatch.setattr(exact, "UNITS", 64)
+    rows = exact.paired_lists(e)
+    assert sorted((r.v, r.u, r.nv, r.nu) for r in rows.collect()) == want
+    assert "Join" not in rows._jdf.queryExecution().executedPlan().toString()
+    moved = dynamic.count(e, 3, mode="shuffle")
+    assert "array_intersect" not in moved._jdf.queryExecution().executedPlan().toString()
+    assert sum(r.triangles for r in moved.collect()) == value(exact.count_intersect(e))
+
+
+def test_two_paths_are_closed_where_edges_are_held(spark, monkeypatch):
+    """No two-path goes through a join, over many blocks too, and ids may be large."""
+    e = graph.relabel(generators.pa(spark, 300, 10), "hashed").cache()
+    far = e.selectExpr(f"src + {1 << 61} AS src", f"dst + {1 << 61} AS dst")
+    paths = mapreduce.two_paths(e, True).join(e.toDF("u", "w"), ["u", "w"], "left_semi").count()
+    assert value(mapreduce.count_two_paths(far, oriented=True)) == paths
+    monkeypatch.setattr(exact, "ENTRIES", 150)
+    monkeypatch.setattr(exact, "UNITS", 64)
+    for oriented in (False, True):
+        found = mapreduce.count_two_paths(e, oriented)
+        assert value(found) == paths
+    assert "u <" not in found._jdf.queryExecution().executedPlan().toString()
+    assert value(mapreduce.count_two_paths(e.limit(0))) == 0
