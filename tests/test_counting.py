@@ -1,5 +1,7 @@
 """Hand-worked network, closed forms, invariants, equivalence of methods."""
 
+from collections import Counter
+
 import numpy as np
 import pytest
 
@@ -310,3 +312,33 @@ def test_two_paths_are_closed_where_edges_are_held(spark, monkeypatch):
         assert value(found) == paths
     assert "u <" not in found._jdf.queryExecution().executedPlan().toString()
     assert value(mapreduce.count_two_paths(e.limit(0))) == 0
+
+
+def test_speedup_makes_no_row_for_an_arc_and_a_number_of_blocks(spark, monkeypatch):
+    """No table that is stored has more rows than the network, and the times are those of single arcs."""
+    e = graph.relabel(generators.pa(spark, 120, 6), "hashed").cache()
+    kept, store = [], measures.stored
+    monkeypatch.setattr(measures, "stored", lambda df: kept.append(store(df)) or kept[-1])
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", 7)
+    try:
+        got = {(r.scheme, r.parts): r.most for r in measures.scheme_speedup(e, [1, 3, 8]).collect()}
+    finally:
+        spark.conf.unset("spark.sql.execution.arrow.maxRecordsPerBatch")
+    assert max(t.count() for t in kept) <= e.count()
+    arcs = [tuple(r) for r in orient.orient(e).collect()]
+    eff = Counter(v for v, _ in arcs)
+    for p in (1, 3, 8):
+        own, other = ({r.id: r.part for r in blocks.assign(cost.node_cost(e, k), p).collect()} for k in ("surrogate", "owner"))
+        t = {s: Counter() for s in ("direct", "surrogate", "overlapping")}
+        for v, u in arcs:
+            a, b = own[v], own[u]
+            t["direct"][a] += eff[v] + eff[u]
+            t["surrogate"][b] += eff[v] + eff[u]
+            t["overlapping"][other[v]] += eff[v] + eff[u]
+            if a != b:
+                t["direct"][a] += 2 + eff[u]
+                t["direct"][b] += 2 + eff[u]
+        for v, b in {(v, own[u]) for v, u in arcs if own[v] != own[u]}:
+            t["surrogate"][own[v]] += 1 + eff[v]
+            t["surrogate"][b] += 1 + eff[v]
+        assert all(got[s, p] == max(x.values()) for s, x in t.items())
