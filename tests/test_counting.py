@@ -342,3 +342,17 @@ def test_speedup_makes_no_row_for_an_arc_and_a_number_of_blocks(spark, monkeypat
             t["surrogate"][own[v]] += 1 + eff[v]
             t["surrogate"][b] += 1 + eff[v]
         assert all(got[s, p] == max(x.values()) for s, x in t.items())
+
+
+def test_replies_meet_the_block_without_pairs_of_lists(spark):
+    """direct, cached and unguarded messages: counts of every block are those of scan and surrogate; no row holds two lists."""
+    e = graph.relabel(generators.pa(spark, 200, 10), "hashed").cache()
+    owned = exchange.build(e, 5)
+    rows = {}
+    for scheme, dedupe in (("direct", "last"), ("cached", "last"), ("scan", "last"), ("surrogate", "last"), ("surrogate", "none")):
+        found = exchange.count(owned, scheme, dedupe)
+        rows[scheme, dedupe] = sorted(map(tuple, found.collect()))
+        assert scheme == "scan" or "array_intersect" not in found._jdf.queryExecution().executedPlan().toString()
+    assert rows["direct", "last"] == rows["cached", "last"] == rows["scan", "last"]
+    assert rows["surrogate", "last"] == rows["surrogate", "none"]
+    assert sum(r[3] for r in rows["direct", "last"]) == sum(r[3] for r in rows["surrogate", "last"]) == value(exact.count_intersect(e))
