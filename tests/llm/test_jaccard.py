@@ -4,6 +4,7 @@ import importlib
 import random
 from fractions import Fraction
 
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
@@ -105,3 +106,27 @@ def test_postings_of_the_same_nodes_are_one(spark):
     assert sum(r.times for r in rows) == sum(r.n for r in shared)
     groups = {r.doc_id: r.component_id for r in jaccard.similar_groups(docs).collect()}
     assert groups == {0: 0, 1: 0, 2: 0, 3: 3}
+
+
+def test_near_copies_below_the_bound_are_told_apart_by_parity(spark):
+    """Edits of one text of 400 shingles, few of them similar to each other: hardly a pair that does not link is looked at."""
+    rng = random.Random(6)
+    base = [f"b{i}" for i in range(400)]
+    texts = []
+    for k in range(60):
+        far = list(base)
+        for at in rng.sample(range(400), 8 + k % 12):
+            far[at] = f"e{k}x{at}"
+        texts.append(" ".join(far))
+    sets = [jaccard.shingle_set(t) for t in texts]
+    maps = [np.frombuffer(jaccard.parity(x), dtype=np.uint64) for x in sets]
+    false = 0
+    for i, x in enumerate(sets):
+        for j in range(i):
+            apart, both = int(np.bitwise_count(maps[i] ^ maps[j]).sum()), len(x) + len(sets[j])
+            assert apart <= both - 2 * len(np.intersect1d(x, sets[j]))
+            false += 9 * apart <= both and 9 * (both - 2 * len(np.intersect1d(x, sets[j]))) > both
+    assert false < 60 * 59 / 2 / 10
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    groups = jaccard.similar_groups(docs).where("doc_id = component_id").collect()
+    assert {r.doc_id for r in groups} == kept(list(enumerate(texts)))

@@ -97,6 +97,14 @@ def test_components(spark):
     assert components.components(links.limit(0)).count() == 0
 
 
+def test_few_links_take_no_rounds(spark):
+    """A path of 3,000 nodes is finished by one task, without a round of jobs."""
+    path = list(range(3000))
+    random.Random(8).shuffle(path)
+    links = spark.createDataFrame(list(zip(path[:-1], path[1:], strict=True)), "a long, b long")
+    assert [tuple(r) for r in components.components(links, rounds=0).orderBy("node").collect()] == [(x, 0) for x in range(3000)]
+
+
 def test_near_duplicates(docs, spark):
     rows = simhash.near_duplicates(docs).collect()
     prints = [(r.doc_id, simhash.fingerprint_of(r.text)) for r in docs.collect()]

@@ -83,13 +83,12 @@ def bitmap(numbers: DataFrame, cells: Callable[[np.ndarray], np.ndarray], bits:
         word, start = np.unique(at // 63, return_index=True)
         return {"word": word, "mask": np.bitwise_or.reduceat(np.int64(1) << (at % 63), start) if len(at) else at}
 
-    made = np.zeros(bits, dtype=bool)
+    held = np.zeros(-(-bits // 63), dtype=np.int64)
     for batch in arrow_map(numbers, "word int, mask long", words).groupBy("word").agg(F.bit_or("mask")).toArrow().to_batches():
-        word, mask = batch.column(0).to_numpy().astype(np.int64), batch.column(1).to_numpy()
-        for k in range(63):
-            at = 63 * word[(mask >> k & 1) > 0] + k
-            made[at] = True
-    return np.packbits(made, bitorder="little")
+        held[batch.column(0).to_numpy()] = batch.column(1).to_numpy()
+    # Opened a few words at a time, as the driver may have little memory; 8 words fill whole bytes.
+    made = [np.packbits((held[at : at + 4096, None] >> np.arange(63) & 1).astype(np.uint8), bitorder="little") for at in range(0, len(held), 4096)]
+    return np.concatenate(made)[: -(-bits // 8)]
 
 
 def documents(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -6,9 +6,9 @@ ceil(least * n)), so only those are posted, and only pairs that meet k times are
 shingles last. Which ones are crowded is told by a bitmap from an eighth of the texts: it moves work, never a result.
 
 Postings that hold the same nodes are one that counts so many times: a shared passage is met once, not at each of its
-shingles. Inside a posting, pairs are held against bounds that no link can fail (sizes, and the parity of the shingles in 256
+shingles. Inside a posting, pairs are held against bounds that no link can fail (sizes, and the parity of the shingles in 1024
 cells, whose difference is at most that of the sets); what remains is compared set by set. A first round compares each
-large posting with one pivot; the second forms pairs only of nodes that are not yet in one component, so a large group
+large posting with one pivot, PIVOTS in all for postings of the same nodes, as near copies need not all be near one of them; the second forms pairs only of nodes that are not yet in one component, so a large group
 of near copies does not become all of its pairs. The first round also takes what the SimHash index links: texts of equal
 fingerprints with one of them, and one text of each two fingerprints that it finds near. Few pairs of similarity 0.8
 differ in only two bits, so the fingerprints alone would lose links, which the join by prefixes then finds.
@@ -33,9 +33,9 @@ from .components import components
 from .simhash import CHUNK, fingerprint_links, fingerprint_of_hashes, keep_heads, shingle_hashes, with_text_key
 
 #: Cells of a set's parity map, and bits of the bitmaps of marked numbers (4 MB); powers of two.
-CELLS, BITS = 256, 1 << 25
-#: Rows of a posting that is worth a pivot.
-LARGE = 16
+CELLS, BITS = 1024, 1 << 25
+#: Rows of a posting that is worth a pivot, and pivots of postings that hold the same nodes; the latter a power of two.
+LARGE, PIVOTS = 16, 16
 
 
 def shingle_set(text: str | None, shingle: int = 5, seed: int = 42) -> np.ndarray:
@@ -46,7 +46,7 @@ def shingle_set(text: str | None, shingle: int = 5, seed: int = 42) -> np.ndarra
 
 def parity(found: np.ndarray) -> bytes:
     """For each cell, whether an odd number of the set's hashes fall into it."""
-    odd = np.bincount((found >> np.uint64(56)).astype(np.int64), minlength=CELLS) & 1
+    odd = np.bincount((found >> np.uint64(65 - CELLS.bit_length())).astype(np.int64), minlength=CELLS) & 1
     return np.packbits(odd.astype(np.uint8)).tobytes()
 
 
@@ -197,7 +197,7 @@ def _pairs(posted: DataFrame, least: Fraction, pivot: bool) -> DataFrame:
         for s, e in zip(start[large].tolist(), end[large].tolist(), strict=True):
             # Few pivots serve all the postings of one group.
             u = node[s:e].view(np.uint64)
-            mixed = (u ^ (np.uint64(int(h[s]) & 3) << np.uint64(62))) * np.uint64(0x9E3779B97F4A7C15)
+            mixed = (u ^ (np.uint64(int(h[s]) & (PIVOTS - 1)) << np.uint64(65 - PIVOTS.bit_length()))) * np.uint64(0x9E3779B97F4A7C15)
             lead = s + int(np.argmin(mixed))
             j = np.arange(s, e)
             j = j[(group[j] != group[lead]) & (q * np.minimum(n[j], n[lead]) >= p * np.maximum(n[j], n[lead]))]
